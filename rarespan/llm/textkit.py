@@ -35,6 +35,7 @@ _LOWER[ord("A") : ord("Z") + 1] += 32
 
 _rng = np.random.default_rng(20_240_229)
 _BYTE = _rng.integers(0, 2**63, 256, dtype=np.uint64) * _U(2) + _U(1)
+_TILE = _BYTE.copy()
 _BYTE[0x20] = 0
 _PLACE = _rng.integers(0, 2**63, 1021, dtype=np.uint64) * _U(2) + _U(1)
 
@@ -125,30 +126,29 @@ def mix64(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> _U(31))
 
 
-def span_hashes(buf: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of disjoint ascending spans, equal for equal bytes."""
+def tile_hashes(buf: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the spans that begin at ``start`` and together cover ``buf``; equal for equal bytes."""
     if len(start) == 0:
         return np.zeros(0, np.uint64)
-    size = end - start
-    total = int(size.sum())
-    first = np.concatenate(([0], np.cumsum(size)[:-1]))
-    place = np.arange(total) - np.repeat(first, size)
-    byte = buf[place + np.repeat(start, size)]
-    value = (_BYTE[byte] + (byte == 0x20)) * _PLACE[place % 1021]
-    return mix64(np.add.reduceat(value, first) + size.astype(np.uint64) * _P3)
+    size = np.diff(np.append(start, len(buf)))
+    place = np.arange(len(buf), dtype=np.int32) - np.repeat(start.astype(np.int32), size)
+    if size.max() >= 1021:
+        place %= 1021
+    value = _TILE[buf]
+    value *= _PLACE[place]
+    return mix64(np.add.reduceat(value, start) + size.astype(np.uint64) * _P3)
 
 
 def word_hashes(w: Words) -> np.ndarray:
     """64-bit hash of every word; the same word has the same hash in every batch and process."""
     if len(w.start) == 0:
         return np.zeros(0, np.uint64)
-    n = len(w.buf)
-    mark = np.zeros(n, np.int64)
-    mark[w.start] = w.start
-    place = np.arange(n) - np.maximum.accumulate(mark)
-    if place.max() >= 1021:
+    size = np.diff(np.append(w.start, len(w.buf)))
+    place = np.arange(w.start[0], len(w.buf), dtype=np.int32) - np.repeat(w.start.astype(np.int32), size)
+    if size.max() >= 1021:
         place %= 1021
-    value = _BYTE[w.buf] * _PLACE[place]
+    value = np.zeros(len(w.buf), np.uint64)
+    np.multiply(_BYTE[w.buf[w.start[0] :]], _PLACE[place], out=value[w.start[0] :])
     return mix64(np.add.reduceat(value, w.start) + (w.end - w.start).astype(np.uint64) * _P3)
 
 
@@ -231,3 +231,44 @@ def bit_counts(values: np.ndarray, per_doc: np.ndarray, most: int = 60_000) -> n
 
 def popcount(x: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x)
+
+
+class HashTable:
+    """Long-lived map from 64-bit hashes to small integers, probed for whole arrays at once. Zero hashes are never found."""
+
+    def __init__(self, bits: int):
+        self.mask = (1 << bits) - 1
+        self.keys = np.zeros(self.mask + 1, np.uint64)
+        self.values = np.zeros(self.mask + 1, np.int32)
+        self.count = 0
+
+    def find(self, key: np.ndarray) -> np.ndarray:
+        """Value of each key, -1 where there is none."""
+        out = np.full(len(key), -1, np.int32)
+        slot = (key & _U(self.mask)).astype(np.int64)
+        held = self.keys[slot]
+        hit = held == key
+        out[hit] = self.values[slot[hit]]
+        rest = np.flatnonzero(~hit & (held != 0))
+        while len(rest):
+            slot[rest] = (slot[rest] + 1) & self.mask
+            held = self.keys[slot[rest]]
+            hit = held == key[rest]
+            out[rest[hit]] = self.values[slot[rest[hit]]]
+            rest = rest[~hit & (held != 0)]
+        return out
+
+    def put(self, key: np.ndarray, value: np.ndarray):
+        """Add distinct keys that are not there yet."""
+        slot = (key & _U(self.mask)).astype(np.int64)
+        rest = np.arange(len(key))
+        while len(rest):
+            free = rest[self.keys[slot[rest]] == 0]
+            self.keys[slot[free]] = key[free]
+            won = free[self.keys[slot[free]] == key[free]]
+            self.values[slot[won]] = value[won]
+            settled = np.zeros(len(key), bool)
+            settled[won] = True
+            rest = rest[~settled[rest]]
+            slot[rest] = (slot[rest] + 1) & self.mask
+        self.count += len(key)
