@@ -26,6 +26,18 @@ def op2_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def op5_merkle(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from rarespan.llm.merkle import edit_comparison
+
+    return edit_comparison(table(spark, sf_dir, "documents"))
+
+
+def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from rarespan.llm.mixing import mixture
+
+    return mixture(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
 def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from rarespan.llm.pii import digest, find_pii
 
@@ -35,6 +47,8 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_packing": op1_packing,
     "op2_simhash_dedup": op2_simhash_dedup,
+    "op5_merkle": op5_merkle,
+    "op8_mixing": op8_mixing,
     "op10_pii": op10_pii,
 }
 ORACLE_SQL: dict[str, str] = {}
