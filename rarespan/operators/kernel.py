@@ -152,3 +152,20 @@ def grammar_rows(words) -> tuple[dict[int, list[int]], list[str]]:
     return induce(ids), list(seen)
 
 
+
+
+def committee_one(x: np.ndarray, n: int, params: list[tuple[int, int]], tau: float, k: int) -> list[tuple[int, float]]:
+    """Candidates (start from 0, value) of a whole short series: the stages of the committee in one call, with the same result."""
+    end = len(x)
+    curves = []
+    for w, a, at, words in chunk_tokens(x, n, end, params, max(a for _, a in params)):
+        lo, hi, d = density_runs(at + 1, words, end)
+        size = hi - lo + 1
+        spread = float(size.sum()) * float((size * d * d).sum()) - float((size * d).sum()) ** 2
+        curves.append((-spread, w, a, lo, d))
+    if not curves:
+        return []
+    curves.sort(key=lambda c: c[:3])
+    kept = curves[: max(1, int(np.ceil(tau * len(curves) - 1e-9)))]
+    lo, hi, v = merge_curves([(s, d / d.max() if d.max() > 0 else d.astype(float)) for _, _, _, s, d in kept], 1, end)
+    return window_candidates(np.repeat(v, hi - lo + 1), n, k)

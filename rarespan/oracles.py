@@ -197,8 +197,8 @@ def discord(name: str, n: int, where: str = "true") -> str:
     """Nearest-neighbour distance of each window, from all pairs."""
     return f"""with {SERIES[name]}, u as (select * from s where {where}),
     f as (select series_id, pos, list(x) over (partition by series_id order by pos rows between current row and {n - 1} following) as xs from u),
-    g as (select series_id, pos, xs, list_avg(xs) as mu, list_stddev_pop(xs) as sd from f where len(xs) = {n}),
-    z as (select series_id, pos, case when sd = 0 then list_transform(xs, lambda x: 0.0e0) else list_transform(xs, lambda x: (x - mu) / sd) end as z from g)
+    wn as (select series_id, pos, xs, list_avg(xs) as mu, list_stddev_pop(xs) as sd from f where len(xs) = {n}),
+    z as (select series_id, pos, case when sd = 0 then list_transform(xs, lambda x: 0.0e0) else list_transform(xs, lambda x: (x - mu) / sd) end as z from wn)
     select a.series_id, a.pos, round(sqrt(min(list_sum(list_transform(list_zip(a.z, b.z), lambda p: (p[1] - p[2]) * (p[1] - p[2]))))), 6) as distance
     from z a join z b on a.series_id = b.series_id and abs(a.pos - b.pos) >= {n} group by 1, 2"""
 

@@ -14,8 +14,8 @@ from rarespan.operators import committee as com
 from rarespan.operators import kernel
 from rarespan.operators.density import density
 from rarespan.operators.layout import CORE, with_chunks
-from rarespan.runtime import cut
-from rarespan.schemas import TOKEN
+from rarespan.runtime import cut, shuffle_partitions
+from rarespan.schemas import CANDIDATE, TOKEN
 
 
 @dataclass(frozen=True)
@@ -83,6 +83,26 @@ def committee_curve(runs: DataFrame, tau: float = 0.4, how: str = "median", norm
     return com.combine(com.scaled(runs, kept, norm), how)
 
 
+SHORT = 16_384
+
+
+def _short_committee(df: DataFrame, n: int, params: list[tuple[int, int]], tau: float, k: int) -> DataFrame:
+    """Candidates of short series, many of them in each task; a task holds one bucket of series and works through it one by one."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["series_id", "pos"])
+        names, x = pdf["series_id"].to_numpy(object), pdf["x"].to_numpy(np.int64)
+        edge = np.flatnonzero(np.concatenate(([True], names[1:] != names[:-1]))).tolist() + [len(x)]
+        rows = []
+        for lo, hi in zip(edge, edge[1:], strict=False):
+            for r, (i, v) in enumerate(kernel.committee_one(x[lo:hi], n, params, tau, k)):
+                rows.append((names[lo], r + 1, i + 1, i + n, i + 1, v))
+        return pd.DataFrame(rows, columns=[c.split()[0] for c in CANDIDATE.split(", ")])
+
+    buckets = 4 * shuffle_partitions(df.sparkSession)
+    return df.withColumn("bucket", F.pmod(F.xxhash64("series_id"), F.lit(buckets))).groupBy("bucket").applyInPandas(run, CANDIDATE)
+
+
 def detect_committee(
     df: DataFrame,
     n: int,
@@ -94,10 +114,20 @@ def detect_committee(
     seed: int = 42,
     core: int = CORE,
     part: int | None = None,
+    short: int = SHORT,
 ) -> DataFrame:
-    """CANDIDATE rows of the committee's curve."""
+    """CANDIDATE rows of the committee's curve.
+
+    Series of up to ``short`` points go through all stages in one kernel call, bucketed so that a task serves many of them; longer ones are
+    cut into chunks, and their members are induced by separate tasks. Both give the same candidates.
+    """
     params = com.draw_params(n_members, w_max, a_max, seed, w_cap=n)
-    return cand.window_candidates(committee_curve(member_runs(df, n, params, core, part), tau), n, k)
+    sized = df.select("series_id", "pos", "x").join(series_ends(df), "series_id")
+    low, high = sized.where(F.col("last_pos") <= short).drop("last_pos"), sized.where(F.col("last_pos") > short).drop("last_pos")
+    few = _short_committee(low, n, params, tau, k)
+    if high.isEmpty():
+        return few
+    return few.unionByName(cand.window_candidates(committee_curve(member_runs(high, n, params, core, part), tau), n, k))
 
 
 def random_choice(df: DataFrame, w_max: int = 10, a_max: int = 10, seed: int = 42) -> DataFrame:

@@ -217,3 +217,10 @@ def test_numbering_over_ranges(spark):
     got = [r.pos for r in number_rows(df, ["k", "j"]).orderBy("k", "j").collect()]
     assert sorted(got) == list(range(1, 2001))
     assert [r.k for r in number_rows(df, ["k", "j"]).orderBy("pos").collect()] == sorted(list(range(1000)) * 2)
+
+
+def test_short_and_long_paths_agree(spark, small):
+    df, _ = small
+    one = sorted(map(tuple, detect.detect_committee(df, 12, 12).collect()))
+    two = sorted(map(tuple, detect.detect_committee(df, 12, 12, short=0, core=50).collect()))
+    assert one == two and {r[0] for r in one} == {"a", "b", "flat"}
