@@ -182,11 +182,11 @@ class Scanner:
             return out
         verdict = self.hits(w)
         at = np.flatnonzero(verdict)
+        if not len(at):
+            return out
         docs = w.doc[at]
         first = w.first
         for lo, hi in zip(np.flatnonzero(np.diff(docs, prepend=-1)), np.append(np.flatnonzero(np.diff(docs)) + 1, len(docs)), strict=True):
-            if lo == hi:
-                continue
             d = int(docs[lo])
             total, seen = 0.0, set()
             for i in at[lo:hi].tolist():

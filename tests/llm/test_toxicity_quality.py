@@ -49,6 +49,7 @@ def test_context_separates_quotation():
     s = Scanner(Lexicon(["idiot"], [5.0], [True]))
     raw, offsets = T.text_buffers(pa.array(["you are an idiot and a fool", 'he said "what an idiot he is" then', "you are an idoit, really no idot", "", "nothing here"]))
     x = s.features(raw, offsets)
+    assert not s.features(*T.text_buffers(pa.array(["no hit in this block"]))).any()
     assert x[0, 1] > x[1, 1] > 0 and x[2, 0] == 1 and not x[3:].any()
 
 
