@@ -217,3 +217,58 @@ def symbol_matrix_sql(a_max: int) -> str:
     select cast(ix as int) as ix, cast(a as int) as a, substr('{LETTERS}', 1 + cast(sum(case when cut <= low + 1e-12 then 1 else 0 end) as int), 1) as letter from iv, al group by ix, a"""
 
 
+
+
+def rounds_cte(name: str, n: int, w: int, a: int, rounds: int) -> str:
+    """CTEs of the rounds inducer over the collapsed words: q{r} the sequence before round r, t{r} with the pairs to replace marked."""
+    steps = [f"q0 as materialized (select series_id, tok_ix, word as sym, cast(1 as bigint) as len, pos, run_end from ({collapsed(name, n, w, a)}) z0)"]
+    over = "partition by series_id order by tok_ix"
+    for r in range(rounds):
+        if r % 2 == 0:
+            cand = "(rn - max(case when ch then rn end) over (partition by series_id order by tok_ix)) % 2 = 0 and nxt = sym"
+        else:
+            left = f"substr(md5('{r}:' || sym), 1, 1) < '8'"
+            right = f"substr(md5('{r}:' || nxt), 1, 1) >= '8'"
+            cand = f"nxt <> sym and {left} and {right}"
+        steps.append(f"a{r} as (select *, lead(sym) over ({over}) as nxt, lead(len) over ({over}) as nlen, row_number() over ({over}) as rn, lag(sym) over ({over}) is distinct from sym as ch from q{r})")
+        steps.append(f"b{r} as (select *, coalesce({cand}, false) as cand from a{r})")
+        steps.append(f"c{r} as (select *, cand and count(*) over (partition by series_id, sym, nxt, cand) >= 2 as rep from b{r})")
+        steps.append(f"t{r} as materialized (select *, 'N' || md5(sym || '|' || nxt) as name, coalesce(lag(rep) over ({over}), false) as gone from c{r})")
+        steps.append(f"q{r + 1} as materialized (select series_id, tok_ix, case when rep then name else sym end as sym, len + case when rep then nlen else 0 end as len, pos, run_end from t{r} where not gone)")
+    return ", ".join(steps)
+
+
+def rounds_sequence(name: str, n: int, w: int, a: int, rounds: int) -> str:
+    return f"with {rounds_cte(name, n, w, a, rounds)} select series_id, {w} as w, {a} as a, tok_ix, sym, len from q{rounds}"
+
+
+def rounds_density(name: str, n: int, w: int, a: int, rounds: int) -> str:
+    """Points covered at each depth, from the rule instances of the rounds inducer."""
+    return f"""with {rounds_density_cte(name, n, w, a, rounds)}
+    select series_id, cast(d as bigint) as d, count(*) as points from dp group by 1, 2"""
+
+
+def rounds_density_cte(name: str, n: int, w: int, a: int, rounds: int) -> str:
+    """dp (series_id, pos, d): at each position, how many instances of rules used at least twice cover it."""
+    rules = " union ".join(f"select series_id, name, sym as x, nxt as y from t{r} where rep" for r in range(rounds))
+    spans = " union all ".join(f"select series_id, name, tok_ix as lo_tok, tok_ix + len + nlen - 1 as hi_tok from t{r} where rep" for r in range(rounds))
+    return f"""{rounds_cte(name, n, w, a, rounds)}, ru as materialized ({rules}), sp as materialized ({spans}),
+    us as (select series_id, name, count(*) as uses from (select series_id, x as name from ru union all select series_id, y from ru union all select series_id, sym from q{rounds}) z group by 1, 2),
+    ok as materialized (select sp.* from sp join us using (series_id, name) where uses >= 2),
+    pl as materialized (select ok.series_id, l.pos as lo, h.run_end as hi from ok join q0 l on l.series_id = ok.series_id and l.tok_ix = lo_tok join q0 h on h.series_id = ok.series_id and h.tok_ix = hi_tok),
+    en as (select series_id, max(run_end) as last_pos from q0 group by 1),
+    gr as (select series_id, unnest(generate_series(1, last_pos)) as pos from en),
+    dp as (select gr.series_id, gr.pos, count(pl.lo) as d from gr left join pl on pl.series_id = gr.series_id and gr.pos between pl.lo and pl.hi group by 1, 2)"""
+
+
+def rounds_single(name: str, n: int, w: int, a: int, rounds: int, k: int = 3) -> str:
+    """A whole single run: words, rounds grammar, density, and the k windows of smallest summed density."""
+    steps, prev = [], "v"
+    for r in range(1, k + 1):
+        steps.append(f"m{r} as (select series_id, min(value) as value, arg_min(pos, row(value, pos)) as loc from {prev} group by 1)")
+        steps.append(f"v{r} as (select p.series_id, p.pos, p.value from {prev} p join m{r} using (series_id) where abs(p.pos - loc) >= {n})")
+        prev = f"v{r}"
+    out = " union all ".join(f"select series_id, cast({r} as int) as rank, loc as lo, loc + {n - 1} as hi, loc, value from m{r}" for r in range(1, k + 1))
+    return f"""with {rounds_density_cte(name, n, w, a, rounds)},
+    v0 as (select series_id, pos, cast(sum(d) over ({_O} rows between current row and {n - 1} following) as double) as value, count(*) over ({_O} rows between current row and {n - 1} following) as len from dp),
+    v as materialized (select series_id, pos, value from v0 where len = {n}), {', '.join(steps)} {out}"""

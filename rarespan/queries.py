@@ -13,6 +13,7 @@ from rarespan.operators import candidates as cand
 from rarespan.operators import committee as com
 from rarespan.operators import density as den
 from rarespan.operators import discord, measures
+from rarespan.operators import rounds as rnd
 from rarespan.operators import windows as win
 from rarespan.plans import detect
 from rarespan.plans import workloads as wl
@@ -144,6 +145,10 @@ def _span_density(s: SparkSession, d: str) -> DataFrame:
 
 
 add("m20_density", _span_density, f"with {o.SERIES['events_hour']} select 'all' as series_id, w, a, (select count(*) from s) as points, cast(0 as bigint) as off from (values (2, 3), (3, 3), (4, 4)) v(w, a)")
+_ROUNDS = 10
+add("m16_rounds", lambda s, d: rnd.induce_rounds(_collapsed(_hour(s, d), N, 3, 3), _ROUNDS)[0], o.rounds_sequence("events_hour", N, 3, 3, _ROUNDS))
+add("m16_rounds_density", lambda s, d: rnd.density_by_rounds(_collapsed(_hour(s, d), N, 3, 3), _ROUNDS).groupBy("series_id", "d").agg(F.sum(F.col("hi") - F.col("lo") + 1).alias("points")), o.rounds_density("events_hour", N, 3, 3, _ROUNDS))
+add("m23_single_rounds", lambda s, d: cand.top_windows(cand.window_values(rnd.density_by_rounds(_collapsed(SERIES["events_type_hour"](s, d), N, 3, 3), _ROUNDS).select("series_id", "lo", "hi", F.col("d").cast("double").alias("de")), N), N), o.rounds_single("events_type_hour", N, 3, 3, _ROUNDS))
 add("m20_density_windows", lambda s, d: den.density(_tokens(s, d), detect.series_ends(_hour(s, d)), "window_span", N))
 add("m21_single_plateaus", lambda s, d: cand.plateaus(den.density(_tokens(s, d, [(3, 3)]), detect.series_ends(_hour(s, d))).withColumn("de", F.col("d").cast("double")), 10))
 add("m23_single", lambda s, d: detect.detect_single(SERIES["part_cycle"](s, d), 40, 4, 4))
