@@ -5,11 +5,17 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as St
 from pyspark.sql.functions import pandas_udf, udtf
 
 from rarespan.functions.breakpoints import LETTERS, count_at_or_below, cuts
 
 
+def _row(**fields: St.DataType) -> St.StructType:
+    """Types as objects: type strings could not be read before a session exists."""
+    return St.StructType([St.StructField(k, t) for k, t in fields.items()])
+
+
 def znorm_array(xs: Column) -> Column:
     """z-normalised array (sample deviation); zeros for a flat one."""
     n = F.size(xs)
@@ -31,7 +37,7 @@ def word_array(xs: Column, w: int, a: int) -> Column:
     return F.concat_ws("", F.transform(paa_array(znorm_array(xs), w), letter))
 
 
-@pandas_udf("string")
+@pandas_udf(St.StringType())
 def symbolic_word(xs: pd.Series, w: pd.Series, a: pd.Series) -> pd.Series:
     """The word of an array with w and a as columns; any w up to the length."""
     import numpy as np
@@ -49,7 +55,7 @@ def symbolic_word(xs: pd.Series, w: pd.Series, a: pd.Series) -> pd.Series:
     return pd.Series(out, dtype=object)
 
 
-@pandas_udf("long")
+@pandas_udf(St.LongType())
 def grammar_size(words: pd.Series) -> int:
     """Symbols on all right sides of the grammar of a group's tokens, in the order given."""
     from rarespan.operators import kernel
@@ -58,7 +64,7 @@ def grammar_size(words: pd.Series) -> int:
     return sum(map(len, bodies.values()))
 
 
-@udtf(returnType="rule int, body string, uses int")
+@udtf(returnType=_row(rule=St.IntegerType(), body=St.StringType(), uses=St.IntegerType()))
 class Induce:
     """induce(TABLE(t) PARTITION BY key ORDER BY pos): the rules of each partition; the table has a column word."""
 
@@ -79,7 +85,7 @@ class Induce:
             yield r, " ".join(f"R{v >> 1}" if v & 1 else names[v >> 1] for v in body), uses[r]
 
 
-@udtf(returnType="lo long, hi long, d long")
+@udtf(returnType=_row(lo=St.LongType(), hi=St.LongType(), d=St.LongType()))
 class RuleDensity:
     """rule_density(TABLE(t) PARTITION BY key ORDER BY pos, last): density runs of a partition's tokens; the table has pos and word."""
 
@@ -102,7 +108,7 @@ class RuleDensity:
                 yield row
 
 
-@udtf(returnType="rank int, loc long, value double")
+@udtf(returnType=_row(rank=St.IntegerType(), loc=St.LongType(), value=St.DoubleType()))
 class Detect:
     """detect(TABLE(t) PARTITION BY series_id ORDER BY pos, n): committee candidates of a partition's series; the table has x."""
 

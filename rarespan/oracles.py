@@ -272,3 +272,19 @@ def rounds_single(name: str, n: int, w: int, a: int, rounds: int, k: int = 3) ->
     return f"""with {rounds_density_cte(name, n, w, a, rounds)},
     v0 as (select series_id, pos, cast(sum(d) over ({_O} rows between current row and {n - 1} following) as double) as value, count(*) over ({_O} rows between current row and {n - 1} following) as len from dp),
     v as materialized (select series_id, pos, value from v0 where len = {n}), {', '.join(steps)} {out}"""
+
+
+def committee_by_rounds(name: str, n: int, pairs: list[tuple[int, int]], rounds: int, tau: float, k: int = 3) -> str:
+    """The whole committee: words, rounds grammars, densities, spread, scaling, median, and the windows of smallest sum."""
+    each = " union all ".join(f"select series_id, {w} as w, {a} as a, pos, d from (with {rounds_density_cte(name, n, w, a, rounds)} select * from dp) y{i}" for i, (w, a) in enumerate(pairs))
+    steps, prev = [], "v"
+    for r in range(1, k + 1):
+        steps.append(f"m{r} as (select series_id, min(value) as value, arg_min(pos, row(value, pos)) as loc from {prev} group by 1)")
+        steps.append(f"v{r} as (select p.series_id, p.pos, p.value from {prev} p join m{r} using (series_id) where abs(p.pos - loc) >= {n})")
+        prev = f"v{r}"
+    out = " union all ".join(f"select series_id, cast({r} as int) as rank, loc as lo, loc + {n - 1} as hi, loc, value from m{r}" for r in range(1, k + 1))
+    return f"""with d as materialized ({each}), {_STATS}, {_kept(tau)},
+    cu as (select series_id, pos, median(case when top > 0 then cast(d as double) / top else 0 end) as de from d join kk using (series_id, w, a) group by 1, 2),
+    c0 as (select series_id, pos, round(de, 6) as de from cu),
+    v0 as (select series_id, pos, round(sum(de) over ({_O} rows between current row and {n - 1} following), 6) as value, count(*) over ({_O} rows between current row and {n - 1} following) as len from c0),
+    v as materialized (select series_id, pos, value from v0 where len = {n}), {', '.join(steps)} {out}"""

@@ -189,6 +189,22 @@ for _how, _key in (("median", "m27_median"), ("mean", "m27b_mean"), ("min", "m27
 add("m21_plateaus", lambda s, d: cand.plateaus(_combined(s, d).withColumn("de", F.round("de", 9))), o.plateaus("events_hour", N, PAIRS, 0.6))
 add("m22_topk", lambda s, d: cand.top_windows(cand.window_values(_points(_combined(s, d)).select("series_id", F.col("pos").alias("lo"), F.col("pos").alias("hi"), F.round("de", 6).alias("de")), N).withColumn("value", F.round("value", 6)), N), o.top_windows("events_hour", N, PAIRS, 0.6))
 add("m28_committee", lambda s, d: detect.detect_committee(SERIES["part_cycle"](s, d), 40))
+
+
+_TRIO = [(2, 3), (3, 3), (4, 3)]
+
+
+def _committee_by_rounds(s: SparkSession, d: str) -> DataFrame:
+    df = SERIES["part_cycle"](s, d)
+    t = win.collapse_runs(detect.tokens_by_kernel(df, 40, _TRIO), last=detect.series_ends(df))
+    runs = cut(rnd.density_by_rounds(t, 8))
+    curve = com.combine(com.scaled(runs, com.keep_by_spread(com.curve_stats(runs), 0.6)))
+    points = curve.select("series_id", F.explode(F.sequence("lo", "hi")).alias("pos"), F.round("de", 6).alias("de"))
+    values = cand.window_values(points.select("series_id", F.col("pos").alias("lo"), F.col("pos").alias("hi"), "de"), 40)
+    return cand.top_windows(values.withColumn("value", F.round("value", 6)), 40)
+
+
+add("m28_committee_rounds", _committee_by_rounds, o.committee_by_rounds("part_cycle", 40, _TRIO, 8, 0.6))
 add("m28_recommended", lambda s, d: detect.detect_committee(SERIES["events_hour"](s, d), N, detect.RECOMMENDED.n_members, tau=detect.RECOMMENDED.tau))
 add("m28_chunked", lambda s, d: detect.detect_committee(SERIES["events_seq"](s, d), 64, 10, core=2048, part=8192))
 add("m29_incompressible", lambda s, d: den.uncovered(den.density(_tokens(s, d), detect.series_ends(_hour(s, d)))))
@@ -249,7 +265,11 @@ add("w08_sizes", lambda s, d: wl.sizes(s, d, labels=(0,), copies=3))
 add("w09_selectivity", lambda s, d: wl.selectivity(s, d, (0.1, 0.4, 1.0), 2, 25, labels=(0,), copies=3))
 add("w10_lengths", lambda s, d: wl.lengths(s, d, (0.6, 1.0), 25, labels=(0,), copies=3))
 add("w13_two_anomalies", lambda s, d: wl.two_anomalies(s, d))
+add("w12_long_series", lambda s, d: detect.detect_committee(SERIES["lineitem_seq"](s, d), 900, 50, k=2, core=8192))
+add("w14_sensitivity", lambda s, d: wl.landscape(SERIES["part_cycle"](s, d), 17 * 40 + 1, 40))
 add("w15_extreme_curves", lambda s, d: wl.extreme_curves(SERIES["part_cycle"](s, d), 40))
 add("w17_minimum_at_anomaly", lambda s, d: detect.detect_committee(SERIES["part_cycle"](s, d), 40, 20, k=1).select((F.abs(F.col("loc") - 681) < 40).alias("inside")), "select true as inside")
+add("w18_cost", lambda s, d: s.createDataFrame([(n, measures.word_cost(n, 10, 10)["direct"] / measures.word_cost(n, 10, 10)["shared"]) for n in (50, 100, 900)], "n int, ratio double").select("n", F.round("ratio", 6).alias("ratio")),
+    "select cast(n as int) as n, round((n * 81.0e0 + 54 * 45) / (54 * 6.0e0), 6) as ratio from (values (50), (100), (900)) v(n)")
 add("w19_many_series", lambda s, d: detect.detect_committee(SERIES["events_user"](s, d), 8, 5))
 add("w20_text", lambda s, d: wl.incompressible_share(src.doc_words(s, d)))
