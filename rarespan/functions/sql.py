@@ -16,19 +16,34 @@ def _row(**fields: St.DataType) -> St.StructType:
     return St.StructType([St.StructField(k, t) for k, t in fields.items()])
 
 
+def _let(value: Column, body) -> Column:
+    """body(value) with the value computed once."""
+    return F.transform(F.array(value), body)[0]
+
+
 def znorm_array(xs: Column) -> Column:
     """z-normalised array (sample deviation); zeros for a flat one."""
     n = F.size(xs)
-    mean = F.aggregate(xs, F.lit(0.0), lambda s, x: s + x.cast("double")) / n
-    square = F.aggregate(xs, F.lit(0.0), lambda s, x: s + (x.cast("double") - mean) * (x.cast("double") - mean))
-    sd = F.sqrt(square / F.greatest(n - 1, F.lit(1)))
-    return F.transform(xs, lambda x: F.when(sd > 0, (x - mean) / F.when(sd > 0, sd)).otherwise(0.0))
+    total = F.aggregate(xs, F.lit(0.0), lambda s, x: s + x.cast("double"))
+
+    def spread(mean: Column) -> Column:
+        square = F.aggregate(xs, F.lit(0.0), lambda s, x: s + (x.cast("double") - mean) * (x.cast("double") - mean))
+        return F.struct(mean.alias("mean"), F.sqrt(square / F.greatest(n - 1, F.lit(1))).alias("sd"))
+
+    def scaled(m: Column) -> Column:
+        return F.transform(xs, lambda x: F.when(m["sd"] > 0, (x - m["mean"]) / F.when(m["sd"] > 0, m["sd"])).otherwise(0.0))
+
+    return _let(_let(total / n, spread), scaled)
 
 
 def paa_array(xs: Column, w: int) -> Column:
     """Means of w equal segments; w must divide the array's length."""
-    step = (F.size(xs) / w).cast("int")
-    return F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: F.aggregate(F.slice(xs, i * step + 1, step), F.lit(0.0), lambda s, x: s + x.cast("double")) / step)
+
+    def means(v: Column) -> Column:
+        step = (F.size(v) / w).cast("int")
+        return F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: F.aggregate(F.slice(v, i * step + 1, step), F.lit(0.0), lambda s, x: s + x.cast("double")) / step)
+
+    return _let(xs, means)
 
 
 def word_array(xs: Column, w: int, a: int) -> Column:

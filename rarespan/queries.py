@@ -150,6 +150,7 @@ add("m16_rounds", lambda s, d: rnd.induce_rounds(_collapsed(_hour(s, d), N, 3, 3
 add("m16_rounds_density", lambda s, d: rnd.density_by_rounds(_collapsed(_hour(s, d), N, 3, 3), _ROUNDS).groupBy("series_id", "d").agg(F.sum(F.col("hi") - F.col("lo") + 1).alias("points")), o.rounds_density("events_hour", N, 3, 3, _ROUNDS))
 add("m23_single_rounds", lambda s, d: cand.top_windows(cand.window_values(rnd.density_by_rounds(_collapsed(SERIES["events_type_hour"](s, d), N, 3, 3), _ROUNDS).select("series_id", "lo", "hi", F.col("d").cast("double").alias("de")), N), N), o.rounds_single("events_type_hour", N, 3, 3, _ROUNDS))
 add("m20_density_windows", lambda s, d: den.density(_tokens(s, d), detect.series_ends(_hour(s, d)), "window_span", N))
+add("m20b_rules_once", lambda s, d: den.density_from_spans(den.rule_spans(win.collapse_runs(_literal(s, _EXAMPLE), last=_ends(s, 60)), "window_span", 16), _ends(s, 60), "rules").select("lo", "hi", "d"), "select cast(a as bigint) as lo, cast(b as bigint) as hi, cast(c as bigint) as d from (values (1, 55, 1), (56, 60, 0)) v(a, b, c)")
 add("m21_single_plateaus", lambda s, d: cand.plateaus(den.density(_tokens(s, d, [(3, 3)]), detect.series_ends(_hour(s, d))).withColumn("de", F.col("d").cast("double")), 10))
 add("m23_single", lambda s, d: detect.detect_single(SERIES["part_cycle"](s, d), 40, 4, 4))
 add("m17_chunked", lambda s, d: detect.detect_single(SERIES["orders_walk"](s, d), 100, 4, 4, part=4096))

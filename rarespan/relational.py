@@ -107,6 +107,23 @@ def _smooth(s, d):
     return e.select("event_id", F.count("*").over(Window.partitionBy("event_type").orderBy("t").rangeBetween(-1800, 0)).alias("n"))
 
 
+add("n05_first_last", lambda s, d: _types(s, d).select("series_id", "pos", F.nth_value("x", 2).over(_whole()).alias("second"), F.last("x").over(_whole()).alias("final")), f"with {_TYPES} select series_id, pos, nth_value(x, 2) over ({_ROLL} rows between unbounded preceding and unbounded following) as second, last_value(x) over ({_ROLL} rows between unbounded preceding and unbounded following) as final from s")
+add("g09_conditional", lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.count_if(F.col("value") > 50).alias("high"), F.count("*").alias("n")), "select event_type, count(*) filter (where value > 50) as high, count(*) as n from events group by 1")
+add("j12_lateral", lambda s, d: _lateral(s, d), "select n_name, o_orderkey from (select n_name, o_orderkey, row_number() over (partition by n_name order by o_totalprice desc, o_orderkey) as r from nation join customer on n_nationkey = c_nationkey join orders on o_custkey = c_custkey) z where r <= 2")
+
+
+def _whole():
+    return Window.partitionBy("series_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+
+
+def _lateral(s, d):
+    """The two largest orders of each nation."""
+    o_ = table(s, d, "orders").select("o_orderkey", "o_custkey", "o_totalprice").join(table(s, d, "customer").select("c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey"))
+    n = table(s, d, "nation").select("n_nationkey", "n_name")
+    rank = F.row_number().over(Window.partitionBy("c_nationkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))
+    return o_.withColumn("r", rank).where("r <= 2").join(F.broadcast(n), F.col("c_nationkey") == F.col("n_nationkey")).select("n_name", "o_orderkey")
+
+
 # sorting and sets
 add("k01_report", lambda s, d: _hour(s, d).orderBy(F.desc("x"), "pos").limit(10).select("pos", "x"), f"with {_HOUR} select pos, x from s order by x desc, pos limit 10")
 add("u02_equal_forms", lambda s, d: _collapsed(_hour(s, d), N, 4, 4).select("pos", "word").exceptAll(win.collapse_runs(win.multires_words(_hour(s, d), N, [4], [4])).select("pos", "word")), "select cast(0 as bigint) as pos, '' as word where false")
