@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 
 from rarespan.functions.breakpoints import summary_breaks, symbol_matrix
-from rarespan.operators.inducer import expand, induce, instances, token_depth  # noqa: F401
+from rarespan.operators.inducer import induce, instances, token_depth
 
 
 def coefficients(x: np.ndarray, n: int, w: int, p1: np.ndarray, root: np.ndarray, t1: np.ndarray) -> np.ndarray:

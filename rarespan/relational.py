@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from rarespan import oracles as o
 from rarespan.functions import sql as fs
 from rarespan.operators import windows as win
+from rarespan.operators.joins import as_of, interval_points
 from rarespan.queries import N, SERIES, _collapsed, _literal, add
 from rarespan.runtime import table
 from rarespan.streaming import resample
@@ -43,22 +44,18 @@ add("j11_full_outer", lambda s, d: _full(s, d), f"with {_TYPES}, fa as (select p
 
 
 def _range_join(s, d):
-    """Interval - point join by bins: both sides meet on the bin, the interval's own bounds decide."""
+    """Interval - point join by bins."""
     iv = s.range(10).select(F.col("id").alias("k"), (F.col("id") * 70 + 5).alias("lo"), (F.col("id") * 70 + 40).alias("hi"))
-    iv = iv.withColumn("bin", F.explode(F.sequence(F.expr("lo div 32"), F.expr("hi div 32"))))
-    pts = _hour(s, d).withColumn("bin", F.expr("pos div 32"))
-    return iv.join(pts, "bin").where("pos between lo and hi").groupBy("k").agg(F.count("*").alias("n"), F.sum("x").alias("total"))
+    return interval_points(iv, _hour(s, d), "pos", width=32).groupBy("k").agg(F.count("*").alias("n"), F.sum("x").alias("total"))
 
 
 def _as_of(s, d):
-    """Latest even-valued hour at or before each purchase: one sorted pass over the union, no inequality join."""
-    e = table(s, d, "events")
-    base = e.agg(F.min(F.expr("unix_micros(cast(ts as timestamp)) div 3600000000")).alias("base"))
-    asks = e.where("event_type = 'purchase'").crossJoin(F.broadcast(base)).select("event_id", (F.expr("unix_micros(cast(ts as timestamp)) div 3600000000") - F.col("base") + 1).alias("at"), F.lit(1).alias("kind"), F.lit(None).cast("long").alias("pos"))
-    marks = _hour(s, d).where("x % 2 = 0").select(F.lit(None).cast("long").alias("event_id"), F.col("pos").alias("at"), F.lit(0).alias("kind"), "pos")
-    both = asks.unionByName(marks).withColumn("one", F.lit(1))
-    over = Window.partitionBy("one").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn("pos", F.last("pos", ignorenulls=True).over(over)).where("kind = 1").select("event_id", "pos")
+    """Latest even-valued hour at or before each purchase."""
+    e = table(s, d, "events").withColumn("at", F.expr("unix_micros(cast(ts as timestamp)) div 3600000000"))
+    base = e.agg(F.min("at")).first()[0] or 0
+    asks = e.where("event_type = 'purchase'").select("event_id", (F.col("at") - base + 1).alias("at"))
+    marks = _hour(s, d).where("x % 2 = 0").select(F.col("pos").alias("at"), "pos")
+    return as_of(asks, marks, "at", "pos", width=64).select("event_id", "pos")
 
 
 def _full(s, d):
