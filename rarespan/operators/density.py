@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from rarespan.operators import kernel
 from rarespan.operators.inducer import instances
+from rarespan.runtime import shuffle_partitions
 from rarespan.schemas import DENSITY_RUN, GRAMMAR_SYMBOL, RULE_SPAN
 
 _KEYS = ["series_id", "w", "a"]
@@ -122,7 +123,8 @@ def density(tokens: DataFrame, ends: DataFrame, coverage: str = "token_span", n:
         lo, hi, d = kernel.density_runs(pdf["pos"].to_numpy(), pdf["word"].to_numpy(str), end, lead, coverage, n)
         return pd.DataFrame({"lo": lo, "hi": hi, "d": d}).assign(**_ids(pdf))[[*_KEYS, "lo", "hi", "d"]]
 
-    return rows.groupBy(*_KEYS, "part").applyInPandas(run, DENSITY_RUN)
+    dealt = rows.repartition(shuffle_partitions(tokens.sparkSession), *_KEYS, "part")  # small in bytes, long in work: not to be coalesced
+    return dealt.groupBy(*_KEYS, "part").applyInPandas(run, DENSITY_RUN)
 
 
 def uncovered(runs: DataFrame) -> DataFrame:

@@ -63,7 +63,8 @@ def tokens_by_kernel(df: DataFrame, n: int, params: list[tuple[int, int]] | None
             }
         )
 
-    return rows.groupBy("series_id", "chunk").applyInPandas(run, TOKEN)
+    dealt = rows.repartition(shuffle_partitions(df.sparkSession), "series_id", "chunk")  # small in bytes, long in work: not to be coalesced
+    return dealt.groupBy("series_id", "chunk").applyInPandas(run, TOKEN)
 
 
 def member_runs(df: DataFrame, n: int, params: list[tuple[int, int]] | None = None, core: int = CORE, part: int | None = None, chosen: DataFrame | None = None) -> DataFrame:
