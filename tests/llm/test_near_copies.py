@@ -1,6 +1,10 @@
 import random
 
-from rarespan.llm.near_copies import near_copies
+from pyspark.sql import functions as F
+
+from rarespan.llm.components import components
+from rarespan.llm.near_copies import near_copies, shingle_edges, signatures
+from rarespan.runtime import cut
 from tests.llm.test_simhash import SCHEMA, fingerprint
 
 
@@ -43,3 +47,33 @@ def test_copies_meet_and_others_stay_apart(spark):
                     assert same
     assert alike > 40 and met / alike >= 0.9, (alike, met)
     assert near_copies(spark.createDataFrame([], SCHEMA)).collect() == []
+
+
+def edited(rnd, groups):
+    """Texts with a copy cut short, extended or beheaded, one line in all of them; and the pairs of true similarity 0.8 or more."""
+    vocab = [f"w{i}" for i in range(3000)]
+    line = " ".join(rnd.choice(vocab) for _ in range(40))
+    rows, pairs = [], []
+    for g in range(groups):
+        base = [rnd.choice(vocab) for _ in range(rnd.randrange(100, 900))] + line.split()
+        n = len(base)
+        edits = [base[: int(n * 0.85)], base + [rnd.choice(vocab) for _ in range(int(n * 0.2))], base[int(n * 0.15) :]]
+        for copy in (base, edits[g % 3]):
+            rows.append((len(rows), " ".join(copy), "x"))
+        x, y = shingles(rows[-2][1]), shingles(rows[-1][1])
+        if len(x & y) / len(x | y) >= 0.8:
+            pairs.append((len(rows) - 2, len(rows) - 1))
+    return rows, pairs
+
+
+def test_extended_and_cut_copies_are_candidates(spark):
+    rows, pairs = edited(random.Random(5), 150)
+    got = near_copies(spark.createDataFrame(rows, SCHEMA))
+    assert got.count() == 300 and len(pairs) > 120
+    own = cut(signatures(spark.createDataFrame(rows, SCHEMA)))
+    node = dict(own.select("doc_id", "sig").collect())
+    root = dict(components(shingle_edges(own.select(F.col("sig").alias("node"), "sketch", "keys"))).collect())
+    assert all(root.get(node[a], -1) == root.get(node[b], -2) for a, b in pairs)
+    got = dict(got.collect())
+    assert sum(got[a] == got[b] for a, b in pairs) / len(pairs) > 0.9
+    assert len(set(got.values())) >= 150
