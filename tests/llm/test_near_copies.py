@@ -1,9 +1,10 @@
 import random
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from rarespan.llm.components import components
-from rarespan.llm.near_copies import near_copies, shingle_edges, signatures
+from rarespan.llm.near_copies import near_copies, shingle_edges, signatures, verified_edges
 from rarespan.runtime import cut
 from tests.llm.test_simhash import SCHEMA, fingerprint
 
@@ -77,3 +78,27 @@ def test_extended_and_cut_copies_are_candidates(spark):
     got = dict(got.collect())
     assert sum(got[a] == got[b] for a, b in pairs) / len(pairs) > 0.9
     assert len(set(got.values())) >= 150
+
+
+def test_links_are_exactly_those_of_the_least_similarity(spark):
+    rnd = random.Random(3)
+    rows, want = [], []
+    for g in range(120):  # sets of 4x and 5x, or one shingle less in common: 0.8 and just below it
+        x = rnd.randrange(40, 120)
+        n = 5 * x + 4
+        base = [f"g{g}w{i}" for i in range(n)]
+        rows += [(2 * g, " ".join(base), "x"), (2 * g + 1, " ".join(base[: 4 * x + 4 - g % 2]), "x")]
+        want.append(g % 2 == 0)
+    got = dict(near_copies(spark.createDataFrame(rows, SCHEMA)).collect())
+    assert [got[2 * g] == got[2 * g + 1] for g in range(120)] == want
+
+
+def test_blocks_of_a_large_cluster_link_as_one(spark):
+    rnd = random.Random(8)
+    sets = []
+    for i in range(90):
+        own = set(range(100)) - set(rnd.sample(range(100), rnd.randrange(30)))
+        sets.append((7, i, np.array(sorted(own), np.uint64).tobytes()))
+    rows = spark.createDataFrame(sets, "root long, node long, keys binary")
+    whole, dealt = (dict(components(verified_edges(rows, b)).collect()) for b in (1 << 19, 700))
+    assert whole == dealt and len(whole) > 60
