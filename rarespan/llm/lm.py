@@ -198,6 +198,22 @@ class Model:
         return np.log10(sum(share * (low + k * self.unigram[own]) / (high + k) for share, k in self.mixture))
 
 
+def kept(words: dict[int, int], pairs: dict[int, int], room: int) -> tuple[int, int]:
+    """The least level of words and of pairs whose n-grams, with all of higher levels, go into ``room`` keys. Pairs end at their first level that does not fit."""
+    keep_uni = keep_pair = 1 << 30
+    pairs_fit = True
+    for q in sorted({*words, *pairs}, reverse=True):
+        need = words.get(q, 0) * q
+        if need > room:
+            break
+        room, keep_uni = room - need, q
+        need = pairs.get(q, 0) * q
+        pairs_fit = pairs_fit and need <= room
+        if pairs_fit:
+            room, keep_pair = room - need, q
+    return keep_uni, keep_pair
+
+
 def train(docs: DataFrame, bits: int = BITS, heads: int = HEADS, mixture: tuple = MIXTURE) -> tuple[Model, DataFrame]:
     """The model of the training documents (column text), and their exact word counts (h, c)."""
     uni = cut(ngram_counts(docs, 1))
@@ -205,16 +221,7 @@ def train(docs: DataFrame, bits: int = BITS, heads: int = HEADS, mixture: tuple
     log = lambda c: (1 + F.floor(F.log(c.cast("double")) / F.lit(math.log(BASE)) + 1e-9)).cast("int")
     uni_levels = {r["q"]: (r["n"], r["c"]) for r in uni.groupBy(log(F.col("c")).alias("q")).agg(F.count("*").alias("n"), F.sum("c").alias("c")).collect()}
     pair_levels = {r["q"]: r["n"] for r in pair.groupBy(log(F.col("c")).alias("q")).agg(F.count("*").alias("n")).collect()}
-    room = (1 << bits) // BITS_PER_KEY
-    keep_uni = keep_pair = 1 << 30
-    for q in sorted({*uni_levels, *pair_levels}, reverse=True):
-        need = uni_levels.get(q, (0, 0))[0] * q
-        if need > room:
-            break
-        room, keep_uni = room - need, q
-        need = pair_levels.get(q, 0) * q
-        if need <= room and (keep_pair == 1 << 30 or q < keep_pair):
-            room, keep_pair = room - need, q
+    keep_uni, keep_pair = kept({q: n for q, (n, _) in uni_levels.items()}, pair_levels, (1 << bits) // BITS_PER_KEY)
     grams = uni.select("h", log(F.col("c")).alias("q")).where(F.col("q") >= keep_uni)
     grams = grams.unionByName(pair.select("h", log(F.col("c")).alias("q")).where(F.col("q") >= keep_pair))
     made = build_filter(grams, bits)

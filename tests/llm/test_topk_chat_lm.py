@@ -118,3 +118,11 @@ def test_base_scores_and_filter(spark):
     keys = np.append(h, np.uint64(12345))
     for history in h[:40]:
         assert (10 ** model.log10(keys, np.full(len(keys), history))).sum() < 1.0 + 1e-6
+
+
+def test_pairs_below_a_level_that_does_not_fit_stay_out():
+    words, pairs = {1: 1000, 3: 500, 5: 100}, {3: 20_000_000, 5: 50}
+    assert lm.kept(words, pairs, (1 << 28) // lm.BITS_PER_KEY) == (1, 5)
+    assert lm.kept({1: 1000}, {3: 20_000_000}, (1 << 28) // lm.BITS_PER_KEY) == (1, 1 << 30)
+    assert lm.kept(words, {3: 10, 5: 50}, 10_000) == (1, 1)
+    assert lm.kept(words, pairs, 1000) == (5, 5)
