@@ -24,13 +24,14 @@ from rarespan.llm import textkit as T
 
 # The kinds in their order, the base patterns and the words that raise a score.
 KINDS = ("email", "ip", "card", "phone", "iban", "secret", "national_phone")
-_EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
-_IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+_DOMAIN = re.compile(r"[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
+_IP = re.compile(r"(?<![0-9])[0-9]++(\.[0-9]++)(\.[0-9]++)(\.[0-9]++)")
 _CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _IBAN = re.compile(r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b")
 _SECRET = re.compile(r"(?<![A-Za-z0-9_])[A-Za-z0-9_]{20,}(?![A-Za-z0-9_])")
 _NATIONAL = re.compile(r"(?<![0-9+(])\(?[0-9][\x20().0-9-]{7,}[0-9]")
+_LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _CONTEXT = {
     "email": ("mail", "contact", "write to", "address"),
     "ip": ("ip", "host", "server", "login", "address"),
@@ -107,11 +108,19 @@ def _count(flags: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
 
 def _base(kind: str, text: str) -> Iterator[tuple[int, int]]:
     if kind == "email":
-        for m in _EMAIL.finditer(text):
-            yield m.span()
+        done, at = 0, text.find("@")
+        while at >= 0:  # the local part reaches back as far as it can, but not into the match or the @ before
+            start = at
+            while start > done and text[start - 1] in _LOCAL:
+                start -= 1
+            m = _DOMAIN.match(text, at + 1) if start < at else None
+            if m:
+                yield start, m.end()
+            done = m.end() if m else at + 1
+            at = text.find("@", done)
     elif kind == "ip":
         for m in _IP.finditer(text):
-            if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m[0].split(".")):
+            if all(len(p) <= 3 and int(p or "0") <= 255 for p in (p.lstrip("0") for p in m[0].split("."))):
                 yield m.span()
     elif kind == "card":
         for m in _CARD.finditer(text):

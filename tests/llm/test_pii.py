@@ -2,6 +2,8 @@ import hashlib
 import random
 import re
 
+from pyspark.sql import functions as F
+
 from rarespan.llm.pii import digest, find_pii, luhn, mod97, redact
 
 PATTERNS = {
@@ -58,3 +60,14 @@ def test_redact_keeps_rows_and_columns(spark):
     assert got[1].text == "é <email> <phone> x" and got[2].text is None and got[3].text == "plain"
     assert redact(df).columns == df.columns
     assert redact(df.limit(0)).collect() == []
+
+
+def test_very_long_runs(spark):
+    n = 100_000
+    rows = ["0" * n + ".1.1.1", "0" * n + "...", "a" * n + "@", "a@" * n, "1." * n, "1" * n, "+1" + " " * n, "+1" * n, "1 " * n, "A" * n + " DE89", "1 2 3 4 5 6 7 8 9" + " " * n, "x@a.b" * (n // 5), "é" * n + " a@b.c", "0000000255.1.1.1", "A1_" * n]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string").withColumn("spans", F.lit("x"))
+    got = {r.doc_id: r for r in digest(find_pii(df)).collect()}
+    assert len(got) == len(rows)
+    assert (got[0].n_ip, got[1].n_ip, got[2].n_email, got[3].n_email) == (1, 0, 0, 0)
+    assert got[11].n_email > 0 and got[12].spans == f"email:{n + 1}:{n + 6}" and got[13].n_ip == 1
+    assert redact(df).count() == len(rows)
