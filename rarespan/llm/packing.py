@@ -12,6 +12,8 @@ Token ids never leave the worker that makes them, save those of the unfilled win
 
 from __future__ import annotations
 
+import json
+import string
 import zlib
 from collections.abc import Iterator
 
@@ -50,6 +52,7 @@ class UnitEncoder:
 
     A unit starts at a white-space byte that follows a visible character. The pre-tokenizer of
     byte-level vocabularies always cuts there, so the ids of a text are those of its units, joined.
+    A unit that holds an added token of the vocabulary goes through the whole tokenizer.
     Units of up to ``longest`` bytes are remembered by a 64-bit hash; the memory is cleared at half of 2**bits units.
     """
 
@@ -58,7 +61,10 @@ class UnitEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_str(tokenizer_json)
-        self.tokenizer.encode_special_tokens = True
+        added = json.loads(tokenizer_json).get("added_tokens") or []
+        self.special = [t["content"] for t in added]
+        if any(t["lstrip"] or t["rstrip"] or t["single_word"] or set(t["content"]) & set(string.whitespace) for t in added):
+            raise ValueError("added tokens that reach over white space can't be told unit by unit")
         self.model, self.pieces, self.visible = self.tokenizer.model, regex.compile(_PATTERN).findall, _visible_bytes()
         self.bits, self.longest = bits, longest
         self._clear()
@@ -95,7 +101,7 @@ class UnitEncoder:
         model, visible, pieces = self.model.tokenize, self.visible, self.pieces
         out = []
         for text in texts:
-            if not text.isascii() and max(text) >= "\u0250":
+            if not text.isascii() and max(text) >= "\u0250" or any(t in text for t in self.special):
                 out.append(self._whole(text))
                 continue
             ids: list[int] = []
