@@ -19,6 +19,7 @@ from pyspark.sql import types as St
 
 from rarespan.llm import textkit as T
 from rarespan.llm.logistic import fit_lasso_logistic
+from rarespan.llm.sampling import bounded
 from rarespan.runtime import cut
 
 SAMPLE = 20_000  # at most so many labelled rows are learnt from
@@ -252,8 +253,8 @@ def train(stats: DataFrame, labels: DataFrame, folds: int = 4, held_out: int = 2
     """A model from at most ``most`` labelled rows outside the held-out fold, chosen by a hash of their ids."""
     fold = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(folds))
     usable = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("quality").alias("y")).where(fold != held_out)
-    chosen = stats.join(usable, "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    got = chosen.toPandas()
+    rows = stats.join(F.broadcast(bounded(usable, most)), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", *STATISTICS).limit(most)
+    got = rows.toPandas()
     return fit_rules(got[list(STATISTICS)].to_numpy(float), got["y"].to_numpy(float))
 
 
@@ -261,10 +262,10 @@ def score_documents(docs: DataFrame, labels: DataFrame, threshold: float = 0.7,
     """doc_id, held_out, score, predicted and the statistics for each document.
 
     Texts without words (null, empty, white space) are scored like any other, by all-zero statistics. Without labels of both classes the
-    score is their mean, or 0.5 without any. Every row of a repeated id has a row.
+    score is their mean, or 0.5 without any. Every row of a repeated id has a row; a null id is not held out.
     """
     stats = cut(with_statistics(docs))
     model = train(stats, labels, folds, held_out, most)
     fold = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(folds))
-    scored = stats.withColumn("score", model.column().cast("double")).withColumn("held_out", fold == held_out)
+    scored = stats.withColumn("score", model.column().cast("double")).withColumn("held_out", F.coalesce(fold == held_out, F.lit(False)))
     return scored.select("doc_id", "held_out", "score", (F.col("score") >= threshold).cast("int").alias("predicted"), *STATISTICS)

@@ -23,6 +23,7 @@ from pyspark.sql import types as St
 
 from rarespan.llm import textkit as T
 from rarespan.llm.logistic import fit_logistic
+from rarespan.llm.sampling import bounded
 from rarespan.runtime import cut
 
 SAMPLE = 12_000  # at most so many labelled rows are learnt from
@@ -167,7 +168,7 @@ class Scanner:
             unique, sample, back = np.unique(key[miss], return_index=True, return_inverse=True)
             data = w.buf.tobytes()
             s, e = w.start[miss[sample]].tolist(), w.end[miss[sample]].tolist()
-            texts = [data[i : min(j, i + 400)].decode("utf-8", "ignore").strip(_STRIP).lower() for i, j in zip(s, e, strict=True)]
+            texts = [data[i:j].decode("utf-8", "ignore").strip(_STRIP).lower() for i, j in zip(s, e, strict=True)]
             verdict = look_up(self.automaton, texts)
             if self.known.count + len(unique) > self.known.mask // 2:
                 self.known = T.HashTable(max(self.bits, (4 * len(unique)).bit_length()))
@@ -220,22 +221,28 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, folds: int,
     """At most ``most`` documents (doc_id, text, y) with a label, outside the held-out fold, chosen by a hash of their ids."""
     fold = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(folds))
     usable = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max(label).alias("y"))
-    chosen = usable.where(fold != held_out).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
+    chosen = bounded(usable.where(fold != held_out), most)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.col("text").isNotNull())
     return rows.join(F.broadcast(chosen), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", F.xxhash64("text")).limit(most)
 
 
 def learn_lexicon(sample: DataFrame) -> Lexicon:
-    """Stems of the sample (doc_id, text, y), near copies counted once. Only the best ``MOST_STEMS`` reach the driver."""
+    """Stems of the sample (doc_id, text, y), near copies counted once. Of the bounded sample, ids and three hashes a row reach the driver, and the best stems."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             raw, offsets = T.text_buffers(b.column(0))
             keys = np.concatenate([_keys(raw[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]) for lo, hi in T.blocks(offsets)] or [np.zeros((0, 3), np.int64)])
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(keys[:, j].copy()) for j in range(3))], ["text", "y", "k0", "k1", "k2"])
-
-    single = sample.select("text", F.col("y").cast("int").alias("y")).mapInArrow(run, "text string, y int, k0 long, k1 long, k2 long")
-    single = single.dropDuplicates(["k0"]).dropDuplicates(["k1"]).dropDuplicates(["k2"]).drop("k0", "k1", "k2")
+            yield pa.RecordBatch.from_arrays([b.column(1), *(pa.array(keys[:, j].copy()) for j in range(3))], ["row", "k0", "k1", "k2"])
+
+    named = sample.select("text", F.xxhash64("doc_id", "text").alias("row"), F.col("y").cast("int").alias("y"))
+    rows = named.select("text", "row").mapInArrow(run, "row long, k0 long, k1 long, k2 long").toArrow()
+    rows = np.column_stack([c.to_numpy() for c in rows.columns])
+    rows = rows[np.argsort(rows[:, 0], kind="stable")]
+    for j in (1, 2, 3):
+        rows = rows[np.sort(np.unique(rows[:, j], return_index=True)[1])]
+    alone = named.sparkSession.createDataFrame(pa.table({"row": rows[:, 0].copy()}))
+    single = cut(named.join(F.broadcast(alone), "row", "left_semi").dropDuplicates(["row"]).select("text", "y"))
     strip = "[" + "".join("\\" + c for c in _STRIP) + "]"
     bare = F.transform(F.split(F.lower("text"), r"[\x20\x09-\x0D]+"), lambda w: F.regexp_replace(w, f"^{strip}+|{strip}+$", ""))
     word = F.explode(F.array_distinct(bare))
