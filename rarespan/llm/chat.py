@@ -20,6 +20,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from rarespan.llm.sampling import bounded
 from rarespan.runtime import cut, shuffle_partitions
 
 # The roles and the speaker markers known for each.
@@ -35,6 +36,7 @@ STATES = 2 * len(ROLES)
 CHUNK = 256  # turns
 SHAPE = (4, 2, 8, 2, 2, 6)  # values of each feature
 SAMPLE = 20_000  # at most so many labelled turns are learnt from
+CHARACTERS = 20_000_000  # and so many characters
 
 
 def marker(line: str) -> tuple[int, str]:
@@ -131,12 +133,21 @@ def fit(turns: list[tuple]) -> RoleModel:
     return RoleModel(norm(start), norm(move), [norm(t) for t in emit])
 
 
-def train(turns: DataFrame, is_training: Column, most: int = SAMPLE) -> RoleModel:
-    """A model from the first turns of at most ``most`` / 8 labelled conversations, at most ``most`` turns."""
+def train(turns: DataFrame, is_training: Column, most: int = SAMPLE, characters: int = CHARACTERS) -> RoleModel:
+    """A model from whole labelled conversations, taken in the order of their ids' hashes as long as they have at most ``most`` turns and ``characters`` together.
+
+    One that does not fit is passed over, never cut; the sample bounds what is learnt from, not what is parsed.
+    """
     rows = turns.where(is_training & F.col("conv_id").isNotNull() & F.col("turn").isNotNull())
-    rows = rows.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), "role", F.substring("text", 1, 20_000).alias("text"))
-    some = rows.select("conv_id").distinct().orderBy(F.xxhash64("conv_id")).limit(most // 8)
-    got = rows.join(F.broadcast(some), "conv_id").where("turn < 64").orderBy(F.xxhash64("conv_id"), "conv_id", "turn", "role", F.xxhash64("text")).limit(most)
+    rows = rows.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), "role", "text")
+    sizes = rows.groupBy("conv_id").agg(F.count("*").alias("n"), F.sum(F.coalesce(F.char_length("text"), F.lit(0)) + 1).alias("c"))
+    chosen, n, c = [], 0, 0
+    for r in bounded(sizes.where((F.col("n") <= most) & (F.col("c") <= characters)), most // 4, "conv_id").collect():
+        if n + r["n"] <= most and c + r["c"] <= characters:
+            chosen.append(r["conv_id"])
+            n, c = n + r["n"], c + r["c"]
+    some = turns.sparkSession.createDataFrame([(x,) for x in chosen], "conv_id long")
+    got = rows.join(F.broadcast(some), "conv_id").orderBy(F.xxhash64("conv_id"), "conv_id", "turn", "role", F.xxhash64("text"))
     return fit([tuple(r) for r in got.collect()])
 
 
@@ -200,7 +211,7 @@ def _groups(frames: Iterator[pd.DataFrame], keys: list[str]) -> Iterator[pd.Data
 
 
 def recover_roles(turns: DataFrame, model: RoleModel, chunk: int = CHUNK) -> DataFrame:
-    """conv_id, turn, text, role_found for each turn: its role as the lines alone tell it; the given roles are not read.
+    """conv_id, turn, text, role_found, body for each turn: its role as the lines alone tell it; the given roles are not read. body is the text without a speaker marker of that role.
 
     A conversation is the sequence of its turns' lines, in order of turn, then text; each turn begins with a gap. Null texts are
     one empty line; rows with null conv_id or turn are left out; repeated rows are turns each for itself.
@@ -247,9 +258,10 @@ def recover_roles(turns: DataFrame, model: RoleModel, chunk: int = CHUNK) -> Dat
         for g in _groups(frames, ["conv_id", "chunk"]):
             e, heads = lines_of(g)
             states = model.decode(e, int(g["entry"].iloc[0]), int(g["leave"].iloc[0]))[heads]
-            yield pd.DataFrame({"conv_id": g["conv_id"], "turn": g["turn"], "text": g["text"], "role_found": [ROLES[s // 2] for s in states]})
+            bodies = [rest if mark == 1 + s // 2 else text for text, s, (mark, rest) in zip(g["text"], states.tolist(), map(marker, g["text"]), strict=True)]
+            yield pd.DataFrame({"conv_id": g["conv_id"], "turn": g["turn"], "text": g["text"], "role_found": [ROLES[s // 2] for s in states], "body": bodies})
 
-    out = "conv_id long, turn long, text string, role_found string"
+    out = "conv_id long, turn long, text string, role_found string, body string"
     short = dealt.where("alone").withColumn("entry", F.lit(-1)).withColumn("leave", F.lit(-1)).mapInPandas(decode, out)
     long = dealt.where("not alone")
     spans = long.mapInPandas(matrices, "conv_id long, chunk long, m array<double>, s array<double>")
@@ -266,9 +278,12 @@ def _from_start(model: RoleModel, e: np.ndarray) -> np.ndarray:
 
 
 def format_conversations(turns: DataFrame, folds: int = 5, held_out: int = 0) -> DataFrame:
-    """conv_id, turn, held_out, role_found, rendered for each turn, by a model of the conversations outside the held-out fold."""
+    """conv_id, turn, held_out, role_found, rendered for each turn, by a model of the conversations outside the held-out fold.
+
+    Null texts render as empty turns; rows with null conv_id or turn are left out; repeated rows give a row each; an empty table gives none; other columns are ignored.
+    """
     fold = F.pmod(F.crc32(F.col("conv_id").cast("string")), F.lit(folds))
     model = train(turns, fold != held_out)
     found = recover_roles(turns, model)
-    form = F.concat(F.lit("<|"), "role_found", F.lit("|>\n"), "text", F.lit("<|end|>\n"))
+    form = F.concat(F.lit("<|"), "role_found", F.lit("|>\n"), "body", F.lit("<|end|>\n"))
     return found.select("conv_id", "turn", (fold == held_out).alias("held_out"), "role_found", form.alias("rendered"))
