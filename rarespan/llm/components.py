@@ -1,8 +1,9 @@
 """Connected components of an edge table, by contraction.
 
-Each round points every node at its smallest neighbour, follows the pointers three
+Each round points every node at the neighbour of smallest hash, follows the pointers three
 times, renames the ends of the edges and drops what became a loop. A round costs a few shuffles of the
-remaining edges; a chain of n links takes about log8(n) rounds. Hubs are harmless: minima are aggregated on the
+remaining edges. The hash is another one each round, so about a third of a chain's nodes are left after a round, whatever their order:
+rounds grow with the logarithm of the longest path. Hubs are harmless: minima are aggregated on the
 map side before any shuffle, and the joins meet one row per node.
 """
 
@@ -11,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rarespan.runtime import cut
+from rarespan.runtime import cut_in_loop
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -19,25 +20,28 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 
     No edges give no rows. Loops and repeated edges are allowed; nulls are dropped.
     """
-    edges = cut(
+    edges = cut_in_loop(
         edges.where("a is not null and b is not null")
         .select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
         .distinct()
     )
     known: DataFrame | None = None
-    for _ in range(max_rounds):
+    for r in range(max_rounds):
+        order = F.struct(F.xxhash64("to", F.lit(r)), "to")
         lowest = (
             edges.select(F.col("u").alias("node"), F.col("v").alias("to"))
+            .unionAll(edges.select("v", "u"))
+            .unionAll(edges.select("u", "u"))
             .unionAll(edges.select("v", "v"))
             .groupBy("node")
-            .agg(F.min("to").alias("to"))
+            .agg(F.min_by("to", order).alias("to"))
         )
-        lowest = cut(lowest)
+        lowest = cut_in_loop(lowest)
         jump = lowest
         for _ in range(2):
             far = jump.select(F.col("node").alias("to"), F.col("to").alias("far"))
             jump = jump.join(far, "to", "left").select("node", F.coalesce("far", "to").alias("to"))
-        jump = cut(jump)
+        jump = cut_in_loop(jump)
         if known is None:
             known = jump.select("node", F.col("to").alias("root"))
         else:
@@ -45,14 +49,15 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             known = known.join(moved, "root", "left").select("node", F.coalesce("to", "root").alias("root"))
         left = jump.select(F.col("node").alias("u"), F.col("to").alias("x"))
         right = jump.select(F.col("node").alias("v"), F.col("to").alias("y"))
-        edges = cut(
+        edges = cut_in_loop(
             edges.join(left, "u")
             .join(right, "v")
             .where("x <> y")
             .select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v"))
             .distinct()
         )
-        known = cut(known)
+        known = cut_in_loop(known)
         if edges.isEmpty():
-            return known
+            lowest = known.groupBy("root").agg(F.min("node").alias("low"))
+            return known.join(lowest, "root").select("node", F.col("low").alias("root"))
     raise RuntimeError(f"components are not settled after {max_rounds} rounds")

@@ -14,6 +14,10 @@ def shingles(text, k=5):
     return {tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))} if w else set()
 
 
+def components_of(spark, rows):
+    return {r.doc_id: r.component_id for r in near_copies(spark.createDataFrame(rows, SCHEMA)).collect()}
+
+
 def test_copies_meet_and_others_stay_apart(spark):
     rnd = random.Random(11)
     vocab = [f"w{i}" for i in range(3000)]
@@ -29,7 +33,7 @@ def test_copies_meet_and_others_stay_apart(spark):
             i += 1
     rows += [(i, None, "x"), (i + 1, " \n", "x"), (i + 2, "one two", "x"), (i + 3, "one two", "x"), (i + 4, "two one", "x")]
     groups += [-1, -1, -2, -2, -3]
-    got = dict(near_copies(spark.createDataFrame(rows, SCHEMA)).collect())
+    got = components_of(spark, rows)
     pairs = alike = met = 0
     for a in range(len(rows)):
         for b in range(a):
@@ -75,7 +79,7 @@ def test_extended_and_cut_copies_are_candidates(spark):
     node = dict(own.select("doc_id", "sig").collect())
     root = dict(components(shingle_edges(own.select(F.col("sig").alias("node"), "sketch", "keys"))).collect())
     assert all(root.get(node[a], -1) == root.get(node[b], -2) for a, b in pairs)
-    got = dict(got.collect())
+    got = {r.doc_id: r.component_id for r in got.collect()}
     assert sum(got[a] == got[b] for a, b in pairs) / len(pairs) > 0.9
     assert len(set(got.values())) >= 150
 
@@ -89,7 +93,7 @@ def test_links_are_exactly_those_of_the_least_similarity(spark):
         base = [f"g{g}w{i}" for i in range(n)]
         rows += [(2 * g, " ".join(base), "x"), (2 * g + 1, " ".join(base[: 4 * x + 4 - g % 2]), "x")]
         want.append(g % 2 == 0)
-    got = dict(near_copies(spark.createDataFrame(rows, SCHEMA)).collect())
+    got = components_of(spark, rows)
     assert [got[2 * g] == got[2 * g + 1] for g in range(120)] == want
 
 
@@ -102,3 +106,32 @@ def test_blocks_of_a_large_cluster_link_as_one(spark):
     rows = spark.createDataFrame(sets, "root long, node long, keys binary")
     whole, dealt = (dict(components(verified_edges(rows, b)).collect()) for b in (1 << 19, 700))
     assert whole == dealt and len(whole) > 60
+
+
+def linked(root, pairs):
+    return all(root.get(a, -1) == root.get(b, -2) for a, b in pairs)
+
+
+def test_large_clusters_link_what_pairs_link(spark):
+    """Copies of one centre that are not alike among themselves, a second group, a chain, and loose sets: the links are those of all pairs."""
+    rnd = random.Random(4)
+    centre, other = list(range(400)), list(range(1000, 1400))
+    sets = [set(centre), set(other)]
+    sets += [set(c) - set(rnd.sample(c, 40)) | set(range(10**6 + 1000 * i, 10**6 + 1000 * i + 30)) for i in range(120) for c in (centre, other)]
+    chain = [set(range(5000 + 8 * i, 5100 + 8 * i)) for i in range(30)]
+    sets += chain + [set(rnd.sample(range(9000, 9900), 80)) for _ in range(40)]
+    rows = [(1, i, np.array(sorted(s), np.uint64).tobytes()) for i, s in enumerate(sets)]
+    pairs = [(a, b) for a in range(len(sets)) for b in range(a) if 9 * len(sets[a] & sets[b]) >= 4 * (len(sets[a]) + len(sets[b]))]
+    want = dict(components(spark.createDataFrame(pairs, "a long, b long")).collect())
+    df = spark.createDataFrame(rows, "root long, node long, keys binary")
+    for stars in (1, 2):
+        assert dict(components(verified_edges(df, 3000, stars)).collect()) == want
+
+
+def test_repeated_ids_and_rows(spark):
+    text = " ".join(f"w{i}" for i in range(50))
+    rows = [(1, text, "x"), (1, "another text altogether here now", "x"), (1, text, "x"), (2, text, "x"), (None, text, "x"), (3, None, "x"), (4, "", "x")]
+    got = near_copies(spark.createDataFrame(rows, SCHEMA)).collect()
+    assert sorted((str(r.doc_id), r.component_id) for r in got) == [("1", 1), ("1", 1), ("1", 1), ("2", 1), ("3", 3), ("4", 3), ("None", 1)]
+    kept = {(r.doc_id, r.text_hash) for r in got if r.stays}
+    assert len(kept) == 3 and {i for i, _ in kept} == {1, 3}
