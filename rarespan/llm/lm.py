@@ -1,13 +1,16 @@
 """Language-model scores from a log-frequency Bloom filter.
 
-Word and word-pair counts of the training documents are gathered over the whole corpus. A count c is quantised to level
-1 + floor(log(c) / log(BASE)); an n-gram of level q is put into the filter as q keys (n-gram, 1) .. (n-gram, q),
-so its level is read back by probing level after level until one is absent. The filter has a fixed number of bits and is
-therefore safe to broadcast: the n-grams of the highest levels go in first, as many levels as fit. All keys of an n-gram fall into one
-of ``SEGMENTS`` segments, which are built by separate tasks.
+N-gram counts of the training documents, words and n-grams up to ``ORDER``, are gathered over the whole corpus, and every one of them is kept.
+A count c is quantised to level 1 + floor(log2(c)); an n-gram of level q is put into the filter as q keys (n-gram, 1) .. (n-gram, q),
+so its level is read back by probing level after level until one is absent. The filter has ``BITS_PER_KEY`` bits for each key, so it grows
+with the corpus; all keys of an n-gram fall into one of its segments, which are built by separate tasks, and the bits of a key into one 64-bit word.
 
-P(w | v) mixes estimates (low(v, w) + k * P(w)) / (high(v) + k) with a strong and a weak k: low is the least count of the pair's level,
-high the greatest of the history's, so the probabilities of a history's words sum to one at most. P(w) gives each word the mean count of its level, plus one half, which sums to one exactly.
+A filter of up to ``BROADCAST`` bytes is broadcast to the workers. A larger one never leaves its tasks: blocks of texts send their n-grams to the segments
+and get the levels back. Both ways probe the same bits, so scores do not depend on the way.
+
+P(w | v) mixes estimates (max(low(v, w) - DISCOUNT, 0) + k * P(w)) / (high(v) + k) with a strong and a weak k: low is the least count of the pair's level,
+high the greatest of the history's, so the probabilities of a history's words sum to one at most; the discount keeps what a text says only about itself from
+counting as evidence. Longer n-grams are mixed with the shorter likewise. P(w) gives each word the mean count of its level (the most frequent ones their own), plus one half, which sums to one exactly.
 
 Beside it stands the exact unigram base score. Counts of the most frequent words are broadcast (``HEADS`` at most); the others are
 joined on the word's hash. Words are told apart by 64-bit hashes throughout.
@@ -16,41 +19,47 @@ joined on the word's hash. Words are told apart by 64-bit hashes throughout.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rarespan.llm import textkit as T
 from rarespan.runtime import cut, shuffle_partitions
 
-BASE = math.sqrt(2.0)
-BITS = 28
+ORDER = 2
 SEGMENTS = 256
-PROBES = 6
+SEGMENT_BYTES = 1 << 22  # a segment has about so many at most
 BITS_PER_KEY = 10
+BROADCAST = 256 << 20
 HEADS = 1 << 18
 MIXTURE = ((0.8, 3000.0), (0.2, 5.0))  # (share, k): the weak one follows passages seen before
-LEAST_PAIR = 2
+DISCOUNT = 0.9
+LEVELS = 64
 _END = np.uint64(0x5EED0E4D)
 _BEGIN = np.uint64(0x5EED0B36)
+_STEP = np.uint64(0x9E3779B97F4A7C15)
 _GROUP = 400_000
 
 
 def level(counts: np.ndarray) -> np.ndarray:
-    return 1 + np.floor(np.log(np.maximum(counts, 1)) / math.log(BASE) + 1e-9).astype(np.int64)
+    return np.frexp(np.maximum(counts, 1).astype(float))[1].astype(np.int64)
 
 
 def least(levels: np.ndarray) -> np.ndarray:
-    return np.where(levels > 0, np.ceil(BASE ** (np.maximum(levels, 1) - 1) - 1e-6), 0)
+    return np.where(levels > 0, 2.0 ** (np.maximum(levels, 1) - 1), 0.0)
 
 
 def greatest(levels: np.ndarray) -> np.ndarray:
-    return np.where(levels > 0, np.maximum(np.ceil(BASE ** np.maximum(levels, 1) - 1e-6) - 1, least(levels)), 0)
+    return np.where(levels > 0, 2.0**levels - 1, 0.0)
+
+
+def _level_of(c: Column) -> Column:
+    return (F.floor(F.log2(c.cast("double")) + 1e-9) + 1).cast("int")
 
 
 def tokens(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -69,6 +78,13 @@ def tokens(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return key, before, n
 
 
+def _continued(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(key of the token before, whether there is one in the same text) of tokens in texts of ``n`` tokens."""
+    inside = np.ones(len(keys), bool)
+    inside[np.cumsum(n) - n] = False
+    return np.concatenate((keys[:1], keys[:-1])), inside
+
+
 def _merge(keys: list, counts: list) -> tuple[np.ndarray, np.ndarray]:
     k, c = np.concatenate(keys), np.concatenate(counts)
     unique, back = np.unique(k, return_inverse=True)
@@ -76,7 +92,7 @@ def _merge(keys: list, counts: list) -> tuple[np.ndarray, np.ndarray]:
 
 
 def ngram_counts(docs: DataFrame, order: int) -> DataFrame:
-    """(h, c): counts of words (order 1) or of pairs of neighbours (order 2) over whole texts, the end included."""
+    """(h, c): counts of words (order 1), of pairs of neighbours (2) or of n-grams of words (3 and more) over whole texts, the end included."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys: list[np.ndarray] = []
@@ -93,8 +109,8 @@ def ngram_counts(docs: DataFrame, order: int) -> DataFrame:
             raw, offsets = T.text_buffers(b.column(0))
             for lo, hi in T.blocks(offsets):
                 at = offsets[lo : hi + 1]
-                key, before, _ = tokens(raw[at[0] : at[-1]], at - at[0])
-                unique, c = np.unique(key if order == 1 else T.pair_hashes(before, key), return_counts=True)
+                key, before, n = tokens(raw[at[0] : at[-1]], at - at[0])
+                unique, c = np.unique(grams(key, before, n, order)[order - 1], return_counts=True)
                 keys.append(unique)
                 counts.append(c.astype(np.int64))
                 held += len(unique)
@@ -107,42 +123,63 @@ def ngram_counts(docs: DataFrame, order: int) -> DataFrame:
     return docs.select("text").mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
 
 
+def grams(key: np.ndarray, before: np.ndarray, n: np.ndarray, order: int) -> list[np.ndarray]:
+    """Hashes of the n-grams that end at each token, for 1 .. order; from order 3 on, only at tokens that have so many before them."""
+    out = [key]
+    if order >= 2:
+        out.append(T.pair_hashes(before, key))
+    whole, history = np.ones(len(key), bool), out[-1]
+    for _ in range(3, order + 1):
+        history, inside = _continued(history, n)
+        whole = whole & inside & np.concatenate((whole[:1], whole[:-1]))
+        history = T.pair_hashes(history, key)
+        out.append(history[whole])
+    return out
+
+
+def segment_of(key: np.ndarray, segments: int) -> np.ndarray:
+    return (key >> np.uint64(32)) * np.uint64(segments) >> np.uint64(32)
+
+
+def _places(key: np.ndarray, lev: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Each key's word within its segment of ``size`` words, and its four bits there."""
+    x = T.mix64(key + lev.astype(np.uint64) * _STEP)
+    mask = np.uint64(1) << (x & np.uint64(63))
+    for shift in (6, 12, 18):
+        mask |= np.uint64(1) << ((x >> np.uint64(shift)) & np.uint64(63))
+    return ((x >> np.uint64(32)) * np.uint64(size) >> np.uint64(32)).astype(np.int64), mask
+
+
 @dataclass
 class Filter:
-    """``bits`` per segment are a power of two. ``words`` is the packed array of all segments."""
+    """``words`` holds ``segments`` equal parts of 64-bit words. A single segment can stand for itself."""
 
     words: np.ndarray
     segments: int = SEGMENTS
 
-    @staticmethod
-    def places(key: np.ndarray, lev: np.ndarray, segments: int, size: int) -> Iterator[np.ndarray]:
-        """Bit positions of the keys, one array for each probe."""
-        base = (key >> np.uint64(48)) % np.uint64(segments) * np.uint64(size)
-        x = T.mix64(key + lev.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-        step = (x >> np.uint64(32)) | np.uint64(1)
-        for i in range(PROBES):
-            yield (base + ((x + np.uint64(i) * step) & np.uint64(size - 1))).astype(np.int64)
-
     def levels(self, key: np.ndarray) -> np.ndarray:
         """Level of each n-gram: repeated membership probes until the first absent level."""
-        out = np.zeros(len(key), np.int64)
-        size = len(self.words) * 8 // self.segments
+        out = np.zeros(len(key), np.uint8)
+        size = len(self.words) // self.segments
+        base = segment_of(key, self.segments).astype(np.int64) * size
         live, lev = np.arange(len(key)), 1
-        while len(live):
-            ok = np.ones(len(live), bool)
-            for p in self.places(key[live], np.full(len(live), lev), self.segments, size):
-                ok &= (self.words[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1
-                if not ok.any():
-                    break
-            live = live[ok]
+        while len(live) and size and lev < LEVELS:
+            at, mask = _places(key[live], np.full(1, lev), size)
+            live = live[self.words[base[live] + at] & mask == mask]
             out[live] = lev
             lev += 1
         return out
 
 
-def build_filter(grams: DataFrame, bits: int = BITS, segments: int = SEGMENTS) -> Filter:
-    """The filter of (h, q) rows. Each segment is a row of bits / segments; together they have 2**bits bits, whatever the corpus."""
-    size = (1 << bits) // segments
+def filter_shape(keys: int, bits_per_key: int = BITS_PER_KEY, segments: int = SEGMENTS) -> tuple[int, int]:
+    """(segments, 64-bit words of each) for so many keys."""
+    words = keys * bits_per_key // 64 + 1
+    segments = max(segments, -(-words * 8 // SEGMENT_BYTES))
+    return segments, words // segments + 1
+
+
+def build_filter(grams: DataFrame, segments: int, size: int) -> DataFrame:
+    """(s, bits): the filter of (h, q) rows, a row a segment of ``size`` words; segments without keys have none."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         maps: dict[int, np.ndarray] = {}
@@ -153,30 +190,29 @@ def build_filter(grams: DataFrame, bits: int = BITS, segments: int = SEGMENTS) -
                 k, n = key[lo : lo + 100_000], q[lo : lo + 100_000]
                 row = np.repeat(np.arange(len(k)), n)
                 lev = np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n) + 1
-                part = ((k >> np.uint64(48)) % np.uint64(segments)).astype(np.int64)[row]
-                for p in Filter.places(k[row], lev, segments, size):
-                    inner = p - part * size
-                    for s in np.unique(part).tolist():
-                        bitmap = maps.setdefault(s, np.zeros(size // 8, np.uint8))
-                        at = inner[part == s]
-                        np.bitwise_or.at(bitmap, at >> 3, (1 << (at & 7)).astype(np.uint8))
+                at, mask = _places(k[row], lev, size)
+                part = segment_of(k, segments).astype(np.int64)[row]
+                order = np.argsort(part, kind="stable")
+                part, at, mask = part[order], at[order], mask[order]
+                edge = np.flatnonzero(np.diff(part, prepend=-1))
+                for a, z in zip(edge.tolist(), [*edge[1:].tolist(), len(part)], strict=True):
+                    np.bitwise_or.at(maps.setdefault(int(part[a]), np.zeros(size, np.uint64)), at[a:z], mask[a:z])
         for s, bitmap in maps.items():
             yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([bitmap.tobytes()], pa.binary())], ["s", "bits"])
 
-    segment = F.pmod(F.shiftrightunsigned("h", 48), F.lit(segments))
+    segment = F.shiftrightunsigned(F.shiftrightunsigned("h", 32) * F.lit(segments), 32)
     n = min(segments, shuffle_partitions(grams.sparkSession))
-    rows = grams.select("h", "q", segment.alias("s")).repartition(n, "s").select("h", "q").mapInArrow(run, "s int, bits binary").collect()
-    words = np.zeros((1 << bits) // 8, np.uint8)
-    for r in rows:
-        words[r["s"] * size // 8 : (r["s"] + 1) * size // 8] = np.frombuffer(r["bits"], np.uint8)
-    return Filter(words, segments)
+    return grams.select("h", "q", segment.alias("s")).repartition(n, "s").select("h", "q").mapInArrow(run, "s int, bits binary")
 
 
 @dataclass
 class Model:
-    """What scoring needs, all of bounded size. ``unigram[q]`` is the probability of a word of level q (0: not in the filter)."""
+    """What scoring needs. ``unigram[q]`` is the probability of a word of level q (0: not in the filter). ``filter`` is None where it is too large to be
+    broadcast; then ``parts`` holds it as rows (s, bits), ``shape`` tells segments and words of each. All else is of bounded size."""
 
-    filter: Filter
+    filter: Filter | None
+    parts: DataFrame | None
+    shape: tuple[int, int]
     unigram: np.ndarray
     n_docs: int
     n_tokens: int
@@ -184,112 +220,210 @@ class Model:
     heads: np.ndarray
     head_counts: np.ndarray
     mixture: tuple = MIXTURE
-
-    def log10(self, key: np.ndarray, before: np.ndarray) -> np.ndarray:
-        """log10 P(token | token before) of each token."""
-        words, back = np.unique(np.concatenate([key, before]), return_inverse=True)
-        lev = self.filter.levels(words)
-        own, history = lev[back[: len(key)]], lev[back[len(key) :]]
-        pairs, at = np.unique(T.pair_hashes(before, key), return_inverse=True)
-        pair = self.filter.levels(pairs)
-        pair[pair < level(np.array([LEAST_PAIR]))[0]] = 0
-        high = np.where(before == _BEGIN, self.n_docs, greatest(history))
-        low = np.minimum(least(pair)[at], high)
-        return np.log10(sum(share * (low + k * self.unigram[own]) / (high + k) for share, k in self.mixture))
-
-
-def kept(words: dict[int, int], pairs: dict[int, int], room: int) -> tuple[int, int]:
-    """The least level of words and of pairs whose n-grams, with all of higher levels, go into ``room`` keys. Pairs end at their first level that does not fit."""
-    keep_uni = keep_pair = 1 << 30
-    pairs_fit = True
-    for q in sorted({*words, *pairs}, reverse=True):
-        need = words.get(q, 0) * q
-        if need > room:
-            break
-        room, keep_uni = room - need, q
-        need = pairs.get(q, 0) * q
-        pairs_fit = pairs_fit and need <= room
-        if pairs_fit:
-            room, keep_pair = room - need, q
-    return keep_uni, keep_pair
-
-
-def train(docs: DataFrame, bits: int = BITS, heads: int = HEADS, mixture: tuple = MIXTURE) -> tuple[Model, DataFrame]:
-    """The model of the training documents (column text), and their exact word counts (h, c)."""
+    order: int = ORDER
+
+    def shared(self) -> Model:
+        """The part that is broadcast."""
+        return Model(self.filter, None, self.shape, self.unigram, self.n_docs, self.n_tokens, self.n_types, self.heads, self.head_counts, self.mixture, self.order)
+
+    def head(self, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place among the heads, whether it is one) of each word."""
+        spot = np.minimum(np.searchsorted(self.heads, key), max(len(self.heads) - 1, 0))
+        return spot, self.heads[spot] == key if len(self.heads) else np.zeros(len(key), bool)
+
+    def asked(self, key: np.ndarray, before: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """The n-grams whose levels the scores of these tokens need: distinct, ascending."""
+        return np.unique(np.concatenate([before, *grams(key, before, n, self.order)]))
+
+    def log10(self, key: np.ndarray, before: np.ndarray, n: np.ndarray | None = None, levels: Callable[[np.ndarray], np.ndarray] | None = None) -> np.ndarray:
+        """log10 P(token | tokens before) of each token of texts of ``n`` tokens (one text, if not told)."""
+        n = np.array([len(key)]) if n is None else n
+        asked = self.asked(key, before, n)
+        found = (levels or self.filter.levels)(asked).astype(np.int64)
+        own = grams(key, before, n, self.order)
+        at = lambda k: np.searchsorted(asked, k)
+        spot, is_head = self.head(asked)
+        total = self.n_tokens + 0.5 * (self.n_types + 1)
+        count = self.head_counts[spot] if len(self.heads) else np.zeros(len(asked))
+        word = np.where(is_head, (count + 0.5) / total, self.unigram[found])
+        p = word[at(key)]
+        if self.order >= 2:
+            high = np.where(is_head, count, greatest(found))[at(before)]
+            high = np.where(before == _BEGIN, self.n_docs, high)
+            p = self._mixed(np.minimum(least(found[at(own[1])]), high), high, p)
+        whole, shorter = np.ones(len(key), bool), found[at(own[1])] if self.order >= 3 else None
+        for k in range(3, self.order + 1):
+            level_before, inside = _continued(shorter, n)
+            whole = whole & inside & np.concatenate((whole[:1], whole[:-1]))
+            longer = np.zeros(len(key), np.int64)
+            longer[whole] = found[at(own[k - 1])]
+            high = greatest(level_before)
+            p = np.where(whole, self._mixed(np.minimum(least(longer), high), high, p), p)
+            shorter = longer
+        return np.log10(p)
+
+    def _mixed(self, low: np.ndarray, high: np.ndarray, shorter: np.ndarray) -> np.ndarray:
+        seen = np.maximum(low - DISCOUNT, 0)
+        return sum(share * (seen + k * shorter) / (high + k) for share, k in self.mixture)
+
+
+def train(
+    docs: DataFrame, heads: int = HEADS, mixture: tuple = MIXTURE, order: int = ORDER, bits_per_key: int = BITS_PER_KEY, broadcast: int = BROADCAST
+) -> tuple[Model, DataFrame]:
+    """The model of the training documents (column text), and their exact word counts (h, c). No n-gram of up to ``order`` words is left out."""
     uni = cut(ngram_counts(docs, 1))
-    pair = cut(ngram_counts(docs, 2).where(F.col("c") >= LEAST_PAIR))
-    log = lambda c: (1 + F.floor(F.log(c.cast("double")) / F.lit(math.log(BASE)) + 1e-9)).cast("int")
-    uni_levels = {r["q"]: (r["n"], r["c"]) for r in uni.groupBy(log(F.col("c")).alias("q")).agg(F.count("*").alias("n"), F.sum("c").alias("c")).collect()}
-    pair_levels = {r["q"]: r["n"] for r in pair.groupBy(log(F.col("c")).alias("q")).agg(F.count("*").alias("n")).collect()}
-    keep_uni, keep_pair = kept({q: n for q, (n, _) in uni_levels.items()}, pair_levels, (1 << bits) // BITS_PER_KEY)
-    grams = uni.select("h", log(F.col("c")).alias("q")).where(F.col("q") >= keep_uni)
-    grams = grams.unionByName(pair.select("h", log(F.col("c")).alias("q")).where(F.col("q") >= keep_pair))
-    made = build_filter(grams, bits)
+    rest = [cut(ngram_counts(docs, k)) for k in range(2, order + 1)]
+    sums = lambda d: {r["q"]: (r["n"], r["c"]) for r in d.groupBy(_level_of(F.col("c")).alias("q")).agg(F.count("*").alias("n"), F.sum("c").alias("c")).collect()}
+    uni_levels = sums(uni)
+    keys = sum(q * n for levels in (uni_levels, *map(sums, rest)) for q, (n, _) in levels.items())
+    segments, size = filter_shape(keys, bits_per_key)
+    every = uni.select("h", _level_of(F.col("c")).alias("q"))
+    for longer in rest:
+        every = every.unionByName(longer.select("h", _level_of(F.col("c")).alias("q")))
+    parts = cut(build_filter(every, segments, size))
+    made = None
+    if segments * size * 8 <= broadcast:
+        made = Filter(np.zeros(segments * size, np.uint64), segments)
+        found = parts.toArrow()
+        for s, bits in zip(found.column("s").to_pylist(), found.column("bits"), strict=True):
+            made.words[s * size : (s + 1) * size] = np.frombuffer(bits.as_buffer(), np.uint64)
     n_types, n_tokens = sum(v[0] for v in uni_levels.values()), sum(v[1] for v in uni_levels.values())
     total = n_tokens + 0.5 * (n_types + 1)
-    unigram = np.zeros(80)
-    rest = [v for q, v in uni_levels.items() if q < keep_uni]
-    unigram[0] = (sum(v[1] for v in rest) + 0.5 * (sum(v[0] for v in rest) + 1)) / (sum(v[0] for v in rest) + 1) / total
-    for q, (n, c) in uni_levels.items():
-        if q >= keep_uni:
-            unigram[q] = (c / n + 0.5) / total
-    for q in range(1, len(unigram)):
-        unigram[q] = unigram[q] or unigram[q - 1]  # reached by false positives only
+    unigram = np.zeros(LEVELS + 1)
+    unigram[0] = 0.5 / total
+    for q in range(1, len(unigram)):  # levels without a word are reached by false positives only
+        n, c = uni_levels.get(q, (0, 0))
+        unigram[q] = (c / n + 0.5) / total if n else unigram[q - 1]
     bar, taken = 1 << 30, 0
     for q in sorted(uni_levels, reverse=True):
         taken += uni_levels[q][0]
         if taken > heads:
             break
         bar = q
-    head = uni.where(log(F.col("c")) >= bar).collect()
-    keys = np.array([r["h"] for r in head], np.int64).view(np.uint64) if head else np.zeros(0, np.uint64)
-    order = np.argsort(keys)
-    counts = np.array([r["c"] for r in head], np.int64)[order]
+    head = uni.where(_level_of(F.col("c")) >= bar).select("h", "c").toArrow()
+    names = head.column("h").to_numpy().view(np.uint64)
+    by = np.argsort(names)
     ends = uni.where(F.col("h") == int(_END)).agg(F.max("c")).first()[0] or 0
-    return Model(made, unigram, int(ends), int(n_tokens), int(n_types), keys[order], counts, mixture), uni
-
-
-def score_documents(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
-    """doc_id, n_tokens, n_known, train_tokens, base_score and score of each text; null texts count as empty (the end alone).
-
-    Every row of a repeated id has a row; an empty table gives none; other columns are ignored.
-    """
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(model)
+    return Model(made, parts if made is None else None, (segments, size), unigram, int(ends), int(n_tokens), int(n_types), names[by], head.column("c").to_numpy()[by], mixture, order), uni
+
+
+_SCORED = "row long, doc_id long, n_tokens long, known long, base double, score double, tail array<long>, times array<long>"
+
+
+def _scored(m: Model, head_log: np.ndarray, raw: np.ndarray, at: np.ndarray, doc_id: pa.Array, row: int, levels: Callable | None = None) -> pa.RecordBatch:
+    """A block's scores; the words that are not heads go on, with their number in each text."""
+    key, before, n = tokens(raw, at)
+    first = np.cumsum(n) - n
+    score = np.add.reduceat(m.log10(key, before, n, levels), first)
+    spot, is_head = m.head(key)
+    base = np.zeros(len(key))
+    base[is_head] = head_log[spot[is_head]]
+    known = np.add.reduceat(is_head.astype(np.int64), first)
+    base = np.add.reduceat(base, first)
+    doc = np.repeat(np.arange(len(n)), n)[~is_head]
+    tail = key[~is_head]
+    order = np.lexsort((tail, doc))
+    tail, doc = tail[order], doc[order]
+    edge = np.flatnonzero(np.concatenate(([True], (tail[1:] != tail[:-1]) | (doc[1:] != doc[:-1])))) if len(tail) else np.zeros(0, np.int64)
+    times = np.diff(np.append(edge, len(tail)))
+    per_doc = np.concatenate(([0], np.cumsum(np.bincount(doc[edge], minlength=len(n))))).astype(np.int32)
+    return pa.RecordBatch.from_arrays(
+        [pa.array(row + np.arange(len(n))), doc_id, pa.array(n), pa.array(known), pa.array(base), pa.array(score),
+         pa.ListArray.from_arrays(pa.array(per_doc), pa.array(tail[edge].view(np.int64))), pa.ListArray.from_arrays(pa.array(per_doc), pa.array(times))],
+        ["row", "doc_id", "n_tokens", "known", "base", "score", "tail", "times"],
+    )
+
+
+def _by_broadcast(docs: DataFrame, model: Model) -> DataFrame:
+    shared = docs.sparkSession.sparkContext.broadcast(model.shared())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m, part, row = shared.value, TaskContext.get().partitionId(), 0
+        m, row = shared.value, TaskContext.get().partitionId() << 40
         head_log = np.log10(m.head_counts + 0.5)
         for b in batches:
             raw, offsets = T.text_buffers(b.column(1))
             for lo, hi in T.blocks(offsets):
                 at = offsets[lo : hi + 1]
-                key, before, n = tokens(raw[at[0] : at[-1]], at - at[0])
-                first = np.cumsum(n) - n
-                score = np.add.reduceat(m.log10(key, before), first)
-                spot = np.minimum(np.searchsorted(m.heads, key), max(len(m.heads) - 1, 0))
-                is_head = m.heads[spot] == key if len(m.heads) else np.zeros(len(key), bool)
-                base = np.zeros(len(key))
-                base[is_head] = head_log[spot[is_head]]
-                known = np.add.reduceat(is_head.astype(np.int64), first)
-                base = np.add.reduceat(base, first)
-                doc = np.repeat(np.arange(hi - lo), n)[~is_head]
-                tail = key[~is_head]
-                order = np.lexsort((tail, doc))
-                tail, doc = tail[order], doc[order]
-                edge = np.flatnonzero(np.concatenate(([True], (tail[1:] != tail[:-1]) | (doc[1:] != doc[:-1])))) if len(tail) else np.zeros(0, np.int64)
-                times = np.diff(np.append(edge, len(tail)))
-                per_doc = np.concatenate(([0], np.cumsum(np.bincount(doc[edge], minlength=hi - lo)))).astype(np.int32)
-                ids = (np.int64(part) << 40) + row + np.arange(hi - lo)
+                yield _scored(m, head_log, raw[at[0] : at[-1]], at - at[0], b.column(0).slice(lo, hi - lo), row)
                 row += hi - lo
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids), b.column(0).slice(lo, hi - lo), pa.array(n), pa.array(known), pa.array(base), pa.array(score),
-                     pa.ListArray.from_arrays(pa.array(per_doc), pa.array(tail[edge].view(np.int64))), pa.ListArray.from_arrays(pa.array(per_doc), pa.array(times))],
-                    ["row", "doc_id", "n_tokens", "known", "base", "score", "tail", "times"],
-                )
-
-    schema = "row long, doc_id long, n_tokens long, known long, base double, score double, tail array<long>, times array<long>"
-    scored = cut(docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema))
+
+    return docs.mapInArrow(run, _SCORED)
+
+
+def _by_segments(docs: DataFrame, model: Model) -> DataFrame:
+    """The same rows where the filter stays in its tasks: a block of texts asks each segment for its n-grams' levels, in one row each way."""
+    spark = docs.sparkSession
+    shared, n, segments = spark.sparkContext.broadcast(model.shared()), shuffle_partitions(spark), model.shape[0]
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block = TaskContext.get().partitionId() << 40
+        for b in batches:
+            _, offsets = T.text_buffers(b.column(1))
+            for lo, hi in T.blocks(offsets):
+                ids, texts = pa.array([b.column(0).slice(lo, hi - lo).to_pylist()], pa.list_(pa.int64())), pa.array([b.column(1).slice(lo, hi - lo).to_pylist()], pa.list_(pa.string()))
+                yield pa.RecordBatch.from_arrays([pa.array([block]), ids, texts], ["block", "ids", "texts"])
+                block += hi - lo
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, block in enumerate(b.column(0).to_pylist()):
+                raw, at = T.text_buffers(b.column(1)[i].values)
+                key = shared.value.asked(*tokens(raw, at))
+                part = segment_of(key, segments)
+                edge = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1])))
+                rows = [key[x:y].tobytes() for x, y in zip(edge.tolist(), [*edge[1:].tolist(), len(key)], strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(part[edge].astype(np.int32)), pa.array(np.full(len(rows), block)), pa.array(rows, pa.binary())], ["s", "block", "data"])
+
+    def answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        here, own = -1, None
+        for b in batches:
+            out = []
+            for s, block, data in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if block < 0:
+                    here, own = s, Filter(np.frombuffer(data, np.uint64), 1)
+                    continue
+                key = np.frombuffer(data, np.uint64)
+                # the place within the segment depends on the key alone, so one segment answers for itself
+                out.append((block, s, (own.levels(key) if here == s else np.zeros(len(key), np.uint8)).tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int32()), pa.array([o[2] for o in out], pa.binary())], ["block", "s", "data"])
+
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m, held, got = shared.value, None, []
+        head_log = np.log10(m.head_counts + 0.5)
+
+        def close():
+            block, ids, texts = held
+            raw, at = T.text_buffers(pa.array(texts, pa.string()))
+            return _scored(m, head_log, raw, at, pa.array(ids, pa.int64()), block, lambda key: np.frombuffer(b"".join(got), np.uint8))
+
+        for b in batches:
+            for block, s, data, ids, texts in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if s < 0:
+                    if held:
+                        yield close()
+                    held, got = (block, ids, texts), []
+                else:
+                    got.append(data)
+        if held:
+            yield close()
+
+    texts = cut(docs.mapInArrow(deal, "block long, ids array<long>, texts array<string>"))
+    asked = texts.select("block", "texts").mapInArrow(ask, "s int, block long, data binary")
+    both = asked.unionByName(model.parts.select("s", F.lit(-1).cast("long").alias("block"), F.col("bits").alias("data")))
+    told = both.repartition(n, "s").sortWithinPartitions("s", "block").mapInArrow(answer, "block long, s int, data binary")
+    none = F.lit(None)
+    told = told.select("block", "s", "data", none.cast("array<long>").alias("ids"), none.cast("array<string>").alias("texts"))
+    told = told.unionByName(texts.select("block", F.lit(-1).alias("s"), none.cast("binary").alias("data"), "ids", "texts"))
+    return told.repartition(n, "block").sortWithinPartitions("block", "s").mapInArrow(score, _SCORED)
+
+
+def score_documents(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
+    """doc_id, n_tokens, n_known, train_tokens, base_score and score of each text; null texts count as empty (the end alone).
+
+    Every row of a repeated id has a row; an empty table gives none; other columns are ignored.
+    """
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    scored = cut(_by_segments(docs, model) if model.filter is None else _by_broadcast(docs, model))
     pairs = scored.select("row", F.explode(F.arrays_zip("tail", "times")).alias("x")).select("row", F.col("x.tail").alias("h"), F.col("x.times").alias("times"))
     rare = (
         pairs.join(counts, "h", "left")
