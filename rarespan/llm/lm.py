@@ -32,7 +32,8 @@ from rarespan.llm import textkit as T
 from rarespan.runtime import cut, shuffle_partitions
 
 ORDER = 2
-SEGMENTS = 256
+SEGMENTS = 256  # at least
+BUCKETS = 4096
 SEGMENT_BYTES = 1 << 22  # a segment has about so many at most
 BITS_PER_KEY = 10
 BROADCAST = 256 << 20
@@ -171,38 +172,66 @@ class Filter:
         return out
 
 
-def filter_shape(keys: int, bits_per_key: int = BITS_PER_KEY, segments: int = SEGMENTS) -> tuple[int, int]:
-    """(segments, 64-bit words of each) for so many keys."""
-    words = keys * bits_per_key // 64 + 1
-    segments = max(segments, -(-words * 8 // SEGMENT_BYTES))
+def filter_shape(keys: int, bits_per_key: int = BITS_PER_KEY) -> tuple[int, int]:
+    """(segments, 64-bit words of each) for so many keys; segments are a power of two, so that buckets and segments nest."""
+    words, segments = keys * bits_per_key // 64 + 1, SEGMENTS
+    while words * 8 > segments * SEGMENT_BYTES:
+        segments *= 2
     return segments, words // segments + 1
 
 
+def packed(counts: DataFrame) -> DataFrame:
+    """(s, h, q, keys) of (h, c): n-grams and their levels end to end in binaries, a row for many n-grams of one of ``BUCKETS`` ranges; keys is the sum of the levels."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        size = 0
+
+        def flush():
+            key, q = np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
+            held.clear()
+            order = np.argsort(key)
+            key, q = key[order], q[order]
+            part = segment_of(key, BUCKETS).astype(np.int32)
+            edge = np.flatnonzero(np.diff(part, prepend=-1))
+            cut_at = list(zip(edge.tolist(), [*edge[1:].tolist(), len(key)], strict=True))
+            total = np.add.reduceat(q.astype(np.int64), edge) if len(edge) else np.zeros(0, np.int64)
+            columns = [pa.array(part[edge]), pa.array([key[a:z].tobytes() for a, z in cut_at], pa.binary()), pa.array([q[a:z].tobytes() for a, z in cut_at], pa.binary()), pa.array(total)]
+            return pa.RecordBatch.from_arrays(columns, ["s", "h", "q", "keys"])
+
+        for b in batches:
+            held.append((b.column(0).to_numpy(zero_copy_only=False).view(np.uint64), level(b.column(1).to_numpy(zero_copy_only=False)).astype(np.uint8)))
+            size += len(b)
+            if size > _GROUP:
+                yield flush()
+                size = 0
+        if held:
+            yield flush()
+
+    return counts.select("h", "c").mapInArrow(run, "s int, h binary, q binary, keys long")
+
+
 def build_filter(grams: DataFrame, segments: int, size: int) -> DataFrame:
-    """(s, bits): the filter of (h, q) rows, a row a segment of ``size`` words; segments without keys have none."""
+    """(s, bits): the filter of ``packed`` rows, a row a segment of ``size`` words; segments without keys have none."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         maps: dict[int, np.ndarray] = {}
         for b in batches:
-            key = b.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
-            q = b.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
-            for lo in range(0, len(key), 100_000):
-                k, n = key[lo : lo + 100_000], q[lo : lo + 100_000]
+            for held, levels in zip(b.column(0), b.column(1), strict=True):
+                k, n = np.frombuffer(held.as_buffer(), np.uint64), np.frombuffer(levels.as_buffer(), np.uint8).astype(np.int64)
                 row = np.repeat(np.arange(len(k)), n)
                 lev = np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n) + 1
                 at, mask = _places(k[row], lev, size)
                 part = segment_of(k, segments).astype(np.int64)[row]
-                order = np.argsort(part, kind="stable")
-                part, at, mask = part[order], at[order], mask[order]
                 edge = np.flatnonzero(np.diff(part, prepend=-1))
                 for a, z in zip(edge.tolist(), [*edge[1:].tolist(), len(part)], strict=True):
                     np.bitwise_or.at(maps.setdefault(int(part[a]), np.zeros(size, np.uint64)), at[a:z], mask[a:z])
         for s, bitmap in maps.items():
             yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([bitmap.tobytes()], pa.binary())], ["s", "bits"])
 
-    segment = F.shiftrightunsigned(F.shiftrightunsigned("h", 32) * F.lit(segments), 32)
-    n = min(segments, shuffle_partitions(grams.sparkSession))
-    return grams.select("h", "q", segment.alias("s")).repartition(n, "s").select("h", "q").mapInArrow(run, "s int, bits binary")
+    own = F.expr(f"s div {max(1, BUCKETS // segments)}").alias("own")
+    n = min(segments, BUCKETS, shuffle_partitions(grams.sparkSession))
+    return grams.select("h", "q", own).repartition(n, "own").select("h", "q").mapInArrow(run, "s int, bits binary")
 
 
 @dataclass
@@ -272,15 +301,14 @@ def train(
 ) -> tuple[Model, DataFrame]:
     """The model of the training documents (column text), and their exact word counts (h, c). No n-gram of up to ``order`` words is left out."""
     uni = cut(ngram_counts(docs, 1))
-    rest = [cut(ngram_counts(docs, k)) for k in range(2, order + 1)]
-    sums = lambda d: {r["q"]: (r["n"], r["c"]) for r in d.groupBy(_level_of(F.col("c")).alias("q")).agg(F.count("*").alias("n"), F.sum("c").alias("c")).collect()}
-    uni_levels = sums(uni)
-    keys = sum(q * n for levels in (uni_levels, *map(sums, rest)) for q, (n, _) in levels.items())
-    segments, size = filter_shape(keys, bits_per_key)
-    every = uni.select("h", _level_of(F.col("c")).alias("q"))
-    for longer in rest:
-        every = every.unionByName(longer.select("h", _level_of(F.col("c")).alias("q")))
-    parts = cut(build_filter(every, segments, size))
+    levels = uni.groupBy(_level_of(F.col("c")).alias("q")).agg(F.count("*").alias("n"), F.sum("c").alias("c")).collect()
+    uni_levels = {r["q"]: (r["n"], r["c"]) for r in levels}
+    grams = packed(uni)
+    for k in range(2, order + 1):
+        grams = grams.unionByName(packed(ngram_counts(docs, k)))
+    grams = cut(grams)
+    segments, size = filter_shape(grams.agg(F.sum("keys")).first()[0] or 0, bits_per_key)
+    parts = cut(build_filter(grams, segments, size))
     made = None
     if segments * size * 8 <= broadcast:
         made = Filter(np.zeros(segments * size, np.uint64), segments)

@@ -131,7 +131,7 @@ def plain_scores(rows, train, order):
         w = words(t)
         docs += 1
         for k in range(1, order + 1):
-            padded = [1, *w] if k == 2 else w
+            padded = [1, *w] if k >= 2 else w
             grams[k].update(tuple(padded[i : i + k]) for i in range(len(padded) - k + 1))
     n, v = sum(grams[1].values()), len(grams[1])
     low = lambda c: 2 ** floor(log2(c)) if c else 0
@@ -145,8 +145,9 @@ def plain_scores(rows, train, order):
             if order >= 2:
                 y = docs if i == 0 else grams[1][(w[i - 1],)]
                 p = mix(low(grams[2][((1 if i == 0 else w[i - 1]), x)]), y, p)
-            if order >= 3 and i >= 2:
-                p = mix(low(grams[3][tuple(w[i - 2 : i + 1])]), high(grams[2][tuple(w[i - 2 : i])]), p)
+            if order >= 3 and i >= 1:
+                three = tuple([1, *w][i - 1 : i + 2])
+                p = mix(low(grams[3][three]), high(grams[2][three[:2]]), p)
             total += log10(p)
         out.append(total)
     return out
