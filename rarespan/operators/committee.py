@@ -24,16 +24,17 @@ def draw_params(n_members: int, w_max: int = 10, a_max: int = 10, seed: int = 42
 
 def curve_stats(runs: DataFrame) -> DataFrame:
     """(series_id, w, a, len, total, top, spread): spread = len * sum d*d - (sum d)^2 is an exact integer that ranks like the deviation."""
-    size = (F.col("hi") - F.col("lo") + 1).cast("decimal(20,0)")
-    d = F.col("d").cast("decimal(10,0)")
-    s = runs.groupBy(*_KEYS).agg(F.sum(size).alias("len"), F.sum(size * d).alias("total"), F.sum((size * d * d).cast("decimal(38,0)")).alias("squares"), F.max("d").alias("top"))
-    spread = (F.col("len").cast("double") * F.col("squares").cast("double") - F.col("total").cast("double") * F.col("total").cast("double")).alias("spread")
+    size = F.col("hi") - F.col("lo") + 1
+    d = F.col("d").cast("long")
+    s = runs.groupBy(*_KEYS).agg(F.sum(size).alias("len"), F.sum(size * d).alias("total"), F.sum(size * d * d).alias("squares"), F.max("d").alias("top"))
+    whole = lambda c: F.col(c).cast("decimal(19,0)")
+    spread = (whole("len") * whole("squares") - whole("total") * whole("total")).cast("decimal(38,0)").alias("spread")
     return s.select(*_KEYS, F.col("len").cast("long").alias("len"), F.col("total").cast("long").alias("total"), F.col("top").cast("long").alias("top"), spread)
 
 
 def deviation(stats: DataFrame) -> DataFrame:
     """Adds sd, the population deviation of the curve over its points, and level, its mean."""
-    return stats.withColumn("sd", F.sqrt(F.col("spread")) / F.col("len")).withColumn("level", F.col("total") / F.col("len"))
+    return stats.withColumn("sd", F.sqrt(F.col("spread").cast("double")) / F.col("len")).withColumn("level", F.col("total") / F.col("len"))
 
 
 def kept_count(tau: float, members: int) -> int:

@@ -26,6 +26,25 @@ def coefficients(x: np.ndarray, n: int, w: int, p1: np.ndarray, root: np.ndarray
     return out
 
 
+def window_sums(x: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(values, prefix sums, window sums, n x n x variance of each window), all in whole numbers and exact.
+
+    Values are taken from the middle of their range, which changes no word. Sums that pass 64 bits wrap around and cancel in the differences; only where a window's own result
+    does not fit is there an error.
+    """
+    x = np.asarray(x, np.int64)
+    low, high = int(x.min()), int(x.max())
+    x = x - (low + high) // 2
+    p1, p2 = np.concatenate(([0], np.cumsum(x))), np.concatenate(([0], np.cumsum(x * x)))
+    t1, t2 = p1[n:] - p1[:-n], p2[n:] - p2[:-n]
+    if (n * (high - low)) ** 2 >= 1 << 62:
+        far = x.astype(float)
+        sums, squares = (np.concatenate(([0.0], np.cumsum(v))) for v in (far, far * far))
+        if (n * (squares[n:] - squares[:-n]) - (sums[n:] - sums[:-n]) ** 2).max(initial=0) >= 2.0**62.9 or high - low >= 1 << 53:
+            raise OverflowError(f"values from {low} to {high} vary too much for exact sums over {n} of them; scale them down")
+    return x, p1, t1, n * t2 - t1 * t1
+
+
 def chunk_tokens(x: np.ndarray, n: int, core: int, params: list[tuple[int, int]], a_max: int):
     """Yields (w, a, window offsets, words) of the first ``core`` windows of an integer chunk, runs collapsed.
 
@@ -35,11 +54,7 @@ def chunk_tokens(x: np.ndarray, n: int, core: int, params: list[tuple[int, int]]
     m = min(core, len(x) - n + 1)
     if m <= 0:
         return
-    x = x[: m + n - 1]
-    p1 = np.concatenate(([0], np.cumsum(x)))
-    p2 = np.concatenate(([0], np.cumsum(x * x)))
-    t1, t2 = p1[n:] - p1[:-n], p2[n:] - p2[:-n]
-    v = n * t2 - t1 * t1
+    x, p1, t1, v = window_sums(x[: m + n - 1], n)
     root = np.sqrt(np.maximum(v, 0).astype(float) * (n / (n - 1)))
     breaks = np.array(summary_breaks(a_max))
     table = np.array(symbol_matrix(a_max), np.uint8)
@@ -126,16 +141,22 @@ def window_candidates(curve: np.ndarray, n: int, k: int = 3, exclusion: int | No
 
 def profile_tile(x: np.ndarray, n: int, first: int, last: int) -> np.ndarray:
     """Squared nearest distances of all windows over the diagonals first <= q - p < last, by running sums of products along each diagonal."""
-    x = x.astype(float)
     m = len(x) - n + 1
-    p1, p2 = np.concatenate(([0], np.cumsum(x))), np.concatenate(([0], np.cumsum(x * x)))
-    mean = (p1[n:] - p1[:-n]) / n
-    sd = np.sqrt(np.maximum((p2[n:] - p2[:-n]) / n - mean * mean, 0))
+    if m <= 0:
+        return np.zeros(0)
+    if np.issubdtype(x.dtype, np.integer):  # sums of whole numbers are exact; what wraps around cancels in the differences
+        x = x.astype(np.int64) - (int(x.min()) + int(x.max())) // 2
+        if n * int(np.abs(x).max()) ** 2 * n >= 1 << 63:
+            x = x.astype(float)
+    p1, p2 = (np.concatenate((np.zeros(1, x.dtype), np.cumsum(v))) for v in (x, x * x))
+    t1, t2 = p1[n:] - p1[:-n], p2[n:] - p2[:-n]
+    mean = t1 / n
+    sd = np.sqrt(np.maximum(n * t2 - t1 * t1, 0)) / n
     best = np.full(m, -np.inf)
     flat = sd < 1e-12
     safe = np.where(flat, 1.0, sd)
     for d in range(first, min(last, m)):
-        prod = np.concatenate(([0.0], np.cumsum(x[:-d] * x[d:])))
+        prod = np.concatenate((np.zeros(1, x.dtype), np.cumsum(x[:-d] * x[d:])))
         dots = prod[n:] - prod[:-n]
         corr = (dots - n * mean[: m - d] * mean[d:]) / (n * safe[: m - d] * safe[d:])
         either, both = flat[: m - d] | flat[d:], flat[: m - d] & flat[d:]
@@ -154,6 +175,31 @@ def grammar_rows(words) -> tuple[dict[int, list[int]], list[str]]:
 
 
 
+def spread(size: np.ndarray, d: np.ndarray) -> int:
+    """Points x sum of squares - squared sum of a run-length curve, exactly."""
+    return int(size.sum()) * int((size * d * d).sum()) - int((size * d).sum()) ** 2
+
+
+def committee_grid(x: np.ndarray, n: int, runs: list[tuple[list[tuple[int, int]], float]], k: int, singles: bool = True) -> tuple[list[list[tuple[int, float]]], dict[tuple[int, int], list[tuple[int, float]]]]:
+    """(candidates of each committee, candidates of each single pair) of one short series. A run is (pairs, share kept); every pair's curve is made once for all."""
+    end, curves = len(x), {}
+    pairs = sorted({p for own, _ in runs for p in own})
+    for w, a, at, words in chunk_tokens(x, n, end, pairs, max(a for _, a in pairs)):
+        lo, hi, d = density_runs(at + 1, words, end)
+        curves[w, a] = (-spread(hi - lo + 1, d), w, a, lo, hi, d)
+    committees = []
+    for own, tau in runs:
+        some = sorted((curves[p] for p in set(own) if p in curves), key=lambda c: c[:3])
+        some = some[: max(1, int(np.ceil(tau * len(some) - 1e-9)))]
+        if not some:
+            committees.append([])
+            continue
+        lo, hi, v = merge_curves([(c[3], c[5] / c[5].max() if c[5].max() > 0 else c[5].astype(float)) for c in some], 1, end)
+        committees.append(window_candidates(np.repeat(v, hi - lo + 1), n, k))
+    each = {p: window_candidates(np.repeat(c[5].astype(float), c[4] - c[3] + 1), n, k) for p, c in curves.items()} if singles else {}
+    return committees, each
+
+
 def committee_one(x: np.ndarray, n: int, params: list[tuple[int, int]], tau: float, k: int) -> list[tuple[int, float]]:
     """Candidates (start from 0, value) of a whole short series: the stages of the committee in one call, with the same result."""
     end = len(x)
@@ -161,8 +207,7 @@ def committee_one(x: np.ndarray, n: int, params: list[tuple[int, int]], tau: flo
     for w, a, at, words in chunk_tokens(x, n, end, params, max(a for _, a in params)):
         lo, hi, d = density_runs(at + 1, words, end)
         size = hi - lo + 1
-        spread = float(size.sum()) * float((size * d * d).sum()) - float((size * d).sum()) ** 2
-        curves.append((-spread, w, a, lo, d))
+        curves.append((-spread(size, d), w, a, lo, d))
     if not curves:
         return []
     curves.sort(key=lambda c: c[:3])

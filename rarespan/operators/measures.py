@@ -99,6 +99,15 @@ def _breaks(a_max: int) -> tuple[float, ...]:
     return summary_breaks(a_max)
 
 
+def timed(df: DataFrame) -> float:
+    """Seconds that computing all rows of ``df`` takes; the rows go nowhere."""
+    import time
+
+    begin = time.perf_counter()
+    df.write.format("noop").mode("overwrite").save()
+    return time.perf_counter() - begin
+
+
 def growth(times: DataFrame) -> DataFrame:
     """(method, exponent): slope of log seconds over log points; rows have method, points, seconds."""
     return times.groupBy("method").agg(F.regr_slope(F.log("seconds"), F.log("points")).alias("exponent"))

@@ -3,7 +3,8 @@
 Rounds take turns. An even round pairs equal neighbours, from the start of each run; an odd one pairs a symbol of the left side with a following
 symbol of the right side, where a hash of the round and the symbol tosses the side; so pairs of a round never overlap. Pairs that occur at least
 twice are replaced by a new symbol named by the hash of its two parts, which needs no counter and no driver. Rules that are used once in the end are
-dropped. Rules meet the same two constraints as those of the on-line inducer within what the rounds have tried; the grammar may differ from its.
+dropped. One pass finds them all: a rule that is used once gives its parts to its only user, so no other rule's uses change. Without a number of rounds, they go on until no
+pair repeats without overlap; then rules meet the same two constraints as those of the on-line inducer, though the grammar may differ from its.
 """
 
 from __future__ import annotations
@@ -20,16 +21,34 @@ def _side(r: int, sym: str):
     return F.substring(F.md5(F.concat(F.lit(f"{r}:"), F.col(sym))), 1, 1).isin(*"01234567")
 
 
-def induce_rounds(tokens: DataFrame, rounds: int = 12) -> tuple[DataFrame, DataFrame, DataFrame]:
+def repeating_pairs(seq: DataFrame) -> DataFrame:
+    """(series_id, w, a, x, y): neighbours of (series_id, w, a, tok_ix, sym) that occur at least twice without overlap."""
+    over = Window.partitionBy(*_KEYS).orderBy("tok_ix")
+    t = seq.withColumn("y", F.lead("sym").over(over)).withColumn("before", F.lag("sym").over(over)).withColumn("rn", F.row_number().over(over))
+    # of a run of n equal symbols, n div 2 pairs do not overlap
+    t = t.withColumn("head", F.last(F.when(~F.col("sym").eqNullSafe(F.col("before")), F.col("rn")), ignorenulls=True).over(over.rowsBetween(Window.unboundedPreceding, 0)))
+    pairs = t.where("y is not null and (y <> sym or (rn - head) % 2 = 0)")
+    return pairs.groupBy(*_KEYS, F.col("sym").alias("x"), "y").count().where("count >= 2").drop("count")
+
+
+def induce_rounds(tokens: DataFrame, rounds: int | None = None, most: int = 400) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(sequence, rules, spans) of run-collapsed tokens (series_id, w, a, tok_ix, word).
 
     sequence: series_id, w, a, tok_ix, sym, len - what is left at the top. rules: series_id, w, a, name, x, y, uses. spans: series_id, w, a, name, lo_tok,
     hi_tok - every instance of a rule that is used at least twice. Every round is one window over the remaining symbols, kept and cut off from its lineage.
+    ``rounds`` None: until no pair repeats; more than ``most`` rounds are an error, never a grammar cut short. A pair is tried in a quarter of the odd rounds.
     """
     seq = tokens.select(*_KEYS, "tok_ix", F.col("word").alias("sym"), F.lit(1).cast("long").alias("len"))
     spans, rules = [], []
     over = Window.partitionBy(*_KEYS).orderBy("tok_ix")
-    for r in range(rounds):
+    for r in range(most + 1 if rounds is None else rounds):
+        if rounds is None and r % 8 == 0:
+            if r:
+                seq = cut(seq)
+            if repeating_pairs(seq).isEmpty():
+                break
+        if rounds is None and r == most:
+            raise RuntimeError(f"pairs still repeat after {most} rounds")
         t = seq.withColumn("nxt", F.lead("sym").over(over)).withColumn("nlen", F.lead("len").over(over))
         if r % 2 == 0:
             t = t.withColumn("rn", F.row_number().over(over)).withColumn("head", F.when(~F.col("sym").eqNullSafe(F.lag("sym").over(over)), F.col("rn")))
@@ -62,7 +81,7 @@ def induce_rounds(tokens: DataFrame, rounds: int = 12) -> tuple[DataFrame, DataF
     return seq, all_rules, all_spans.join(worth, [*_KEYS, "name"], "left_semi")
 
 
-def density_by_rounds(tokens: DataFrame, rounds: int = 12) -> DataFrame:
+def density_by_rounds(tokens: DataFrame, rounds: int | None = None) -> DataFrame:
     """(series_id, w, a, lo, hi, d) of tokens with pos and run_end: the rule density by the rounds inducer."""
     from rarespan.operators.density import density_from_spans
 

@@ -44,9 +44,9 @@ SERIES = {
     "lineitem_day": _dense(f"select l_returnflag as series_id, {_epoch('l_shipdate', 86400)} as step, sum({_UNITS.format(c='l_quantity')}) as x from lineitem group by 1, 2"),
     "nation_month": _dense(_nation("customer")),
     "supplier_month": _dense(_nation("supplier")),
-    "part_cycle": """p as (select row_number() over (order by p_partkey) - 1 as i, cast(p_size as bigint) as x from part where p_partkey <= 80),
-    c as (select unnest(generate_series(0, 29)) as rep),
-    s as (select 'cycle' as series_id, cast(rep * 40 + i % 40 + 1 as bigint) as pos, x from p, c where (rep <> 17 and i < 40) or (rep = 17 and i >= 40 and i < 80))""",
+    "part_cycle": """p0 as (select (p_partkey - 1) // 80 as block, row_number() over (partition by (p_partkey - 1) // 80 order by p_partkey) - 1 as i, cast(p_size as bigint) as x, count(*) over (partition by (p_partkey - 1) // 80) as n from part),
+    p as (select block, i, x from p0 where n = 80),
+    s as (select 'cycle-' || block as series_id, cast(rep * 40 + i % 40 + 1 as bigint) as pos, x from p, (select unnest(generate_series(0, 29)) as rep) r where (rep <> 17 and i < 40) or (rep = 17 and i >= 40))""",
     "doc_lengths": "s as (select lang as series_id, row_number() over (partition by lang order by doc_id) as pos, n_chars as x from documents)",
 }
 
@@ -138,7 +138,7 @@ def frequencies_cte(name: str, n: int, pairs: list[tuple[int, int]]) -> str:
 
 
 _STATS = """st as (select series_id, w, a, count(*) as len, cast(sum(d) as bigint) as total, cast(max(d) as bigint) as top,
-    cast(count(*) as double) * cast(sum(d * d) as double) - cast(sum(d) as double) * cast(sum(d) as double) as spread from d group by 1, 2, 3)"""
+    cast(cast(count(*) as hugeint) * sum(d * d) - cast(sum(d) as hugeint) * sum(d) as double) as spread from d group by 1, 2, 3)"""
 
 
 def curve_stats(name: str, n: int, pairs) -> str:
@@ -288,3 +288,13 @@ def committee_by_rounds(name: str, n: int, pairs: list[tuple[int, int]], rounds:
     c0 as (select series_id, pos, round(de, 6) as de from cu),
     v0 as (select series_id, pos, round(sum(de) over ({_O} rows between current row and {n - 1} following), 6) as value, count(*) over ({_O} rows between current row and {n - 1} following) as len from c0),
     v as materialized (select series_id, pos, value from v0 where len = {n}), {', '.join(steps)} {out}"""
+
+
+def planted_truth(labels: int, copies: int, normal: int = 20, length: int = 64, seed: int = 7) -> str:
+    """Where the one foreign instance of each planted series begins: instances drawn and placed by md5 numbers."""
+    return f"""with e as (select vec_id, label from embeddings), c as (select unnest(generate_series(0, {copies - 1})) as copy), d as (select unnest(generate_series(0, {labels - 1})) as dataset),
+    r as (select dataset, copy, vec_id, label = dataset as own, row_number() over (partition by dataset, copy, label = dataset order by md5('{seed}:' || dataset || ':' || copy || ':' || vec_id), vec_id) - 1 as rank from e, c, d),
+    t as (select dataset, copy, count(*) as have from r where own and rank < {normal} group by 1, 2),
+    b as (select t.dataset, t.copy, cast(ceil(have * {length} * 0.4) as bigint) as low, cast(floor(have * {length} * 0.8) as bigint) as high from t join r on r.dataset = t.dataset and r.copy = t.copy and not own and rank = 0)
+    select cast(dataset as int) as dataset, dataset || '-' || lpad(copy::varchar, 2, '0') as series_id,
+    low + cast('0x' || substr(md5('{seed}:place:' || dataset || ':' || copy || ':0'), 1, 7) as bigint) % greatest(high - low, 1) + 1 as true_loc, cast({length} as int) as true_len from b"""

@@ -169,9 +169,10 @@ def selection_objectives(df: DataFrame, n: int, train_frac: float = 0.1, w_max:
         from rarespan.functions.breakpoints import cuts
 
         x = pdf.sort_values("pos")["x"].to_numpy(np.int64)
-        p1, p2 = np.concatenate(([0], np.cumsum(x))), np.concatenate(([0], np.cumsum(x * x)))
-        t1 = p1[n:] - p1[:-n]
-        root = np.sqrt(np.maximum(n * (p2[n:] - p2[:-n]) - t1 * t1, 0) * (n / (n - 1)))
+        if len(x) < n:
+            return pd.DataFrame([], columns=["series_id", "w", "a", "mdl", "coverage", "reconstruction"])
+        x, p1, t1, v = kernel.window_sums(x, n)
+        root = np.sqrt(np.maximum(v, 0) * (n / (n - 1)))
         out = []
         for w, a, _, words in kernel.chunk_tokens(x, n, len(x), pairs, a_max):
             bodies, _ = kernel.grammar_rows(words.astype(str))
@@ -186,9 +187,13 @@ def selection_objectives(df: DataFrame, n: int, train_frac: float = 0.1, w_max:
     return head.select("series_id", "pos", "x").groupBy("series_id").applyInPandas(run, "series_id string, w int, a int, mdl double, coverage double, reconstruction double")
 
 
-def baseline_selected(df: DataFrame, n: int, train_frac: float = 0.1, objective: str = "mdl", w_max: int = 10, a_max: int = 10, k: int = 3) -> DataFrame:
-    """The resolution of smallest objective on the head of each series; with mdl, those that cover half the tokens come first."""
-    grid = selection_objectives(df, n, train_frac, w_max, a_max)
+def selected_choice(grid: DataFrame, objective: str = "mdl") -> DataFrame:
+    """(series_id, w, a) of smallest objective; with mdl, those that cover half the tokens come first."""
     first = (F.col("coverage") < 0.5).cast("int") if objective == "mdl" else F.lit(0)
     best = grid.groupBy("series_id").agg(F.min(F.struct(first.alias("f"), F.col(objective).alias("o"), "w", "a")).alias("m"))
-    return _by_choice(df, n, best.select("series_id", "m.w", "m.a"), k)
+    return best.select("series_id", "m.w", "m.a")
+
+
+def baseline_selected(df: DataFrame, n: int, train_frac: float = 0.1, objective: str = "mdl", w_max: int = 10, a_max: int = 10, k: int = 3) -> DataFrame:
+    """The resolution of smallest objective on the head of each series; with mdl, those that cover half the tokens come first."""
+    return _by_choice(df, n, selected_choice(selection_objectives(df, n, train_frac, w_max, a_max), objective), k)

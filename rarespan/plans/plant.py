@@ -62,7 +62,7 @@ def planted(
     place = (low + width * F.col("rank") + number % F.greatest(width - (length if anomalies > 1 else 0), F.lit(1))).cast("long")
     cuts = drawn.where("not normal").withColumn("at", place).select("copy", F.col("rank").alias("r"), "at", F.col("vec_id").alias("odd"))
     per = cuts.groupBy("copy").agg(F.array_sort(F.collect_list("at")).alias("ats"))
-    v = shapes(spark, d, blend, shape, length).withColumn("x", F.floor(F.col("v") * 1_000_000 + 0.5).cast("long"))
+    v = shapes(spark, d, blend, shape, length).withColumn("x", F.floor(F.col("v") * 10_000 + 0.5).cast("long"))
     body = drawn.where("normal").join(per, "copy").join(v.drop("label"), "vec_id")
     raw = F.col("rank") * length + F.col("k")  # place in the normal part, from 0
     shift = F.size(F.filter("ats", lambda a: a <= raw))

@@ -12,17 +12,36 @@ from rarespan.operators import committee as com
 from rarespan.operators import discord, measures
 from rarespan.plans import detect
 from rarespan.plans.plant import planted
-from rarespan.runtime import cut
+from rarespan.runtime import cut, shuffle_partitions
 
 N = 64
+LENGTHS = (82, 132, 150, 150, 275, 1024)  # of the instances of each dataset
+LABELS = tuple(range(6))
+COPIES = 25
+
+_KEPT: dict[tuple, tuple] = {}
+
+
+def once(make):
+    """A wrapper that computes a kept (checkpointed) result once a session and arguments; several tables report on the same runs."""
+
+    def run(spark: SparkSession, d: str, **kw):
+        key = (spark.sparkContext.applicationId, make.__name__, d, *sorted(kw.items()))
+        if key not in _KEPT:
+            _KEPT[key] = make(spark, d, **kw)
+        return _KEPT[key]
+
+    return run
 
 
 def _union(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def data(spark: SparkSession, d: str, labels: tuple[int, ...] = (0, 1), copies: int = 5, **kw) -> tuple[DataFrame, DataFrame]:
-    made = [planted(spark, d, c, copies, **kw) for c in labels]
+@once
+def data(spark: SparkSession, d: str, labels: tuple[int, ...] = LABELS, copies: int = COPIES, lengths: tuple[int, ...] | None = None, **kw) -> tuple[DataFrame, DataFrame]:
+    """(series, truth) of ``copies`` planted series of each label, with instances of 64 values or of each label's own length."""
+    made = [planted(spark, d, c, copies, length=lengths[i] if lengths else N, **kw) for i, c in enumerate(labels)]
     return cut(_union([s for s, _ in made])), cut(_union([t for _, t in made]))
 
 
@@ -44,69 +63,113 @@ def all_methods(series: DataFrame, truth: DataFrame, n: int = N, members: int =
     return cut(_union([evaluate(c, truth, m) for m, c in runs.items()]))
 
 
+@once
+def compared(spark: SparkSession, d: str, labels: tuple[int, ...] = LABELS, copies: int = COPIES, lengths: tuple[int, ...] = LENGTHS) -> DataFrame:
+    """Scored candidates of all five methods on every dataset, each with windows of its instances' length."""
+    out = []
+    for c, n in zip(labels, lengths, strict=False):
+        series, truth = data(spark, d, labels=(c,), copies=copies, lengths=(n,))
+        out.append(all_methods(series, truth, n))
+    return cut(_union(out))
+
+
 def accuracy(spark: SparkSession, d: str, **kw) -> DataFrame:
     """dataset, method, avg_score, hit_rate for the committee and the baselines."""
-    scored = all_methods(*data(spark, d, **kw))
-    best = measures.best_of(scored)
-    return measures.average_score(best).join(measures.hit_rate(scored), ["dataset", "method"])
+    scored = compared(spark, d, **kw)
+    return measures.average_score(measures.best_of(scored)).join(measures.hit_rate(scored), ["dataset", "method"])
 
 
 def duels(spark: SparkSession, d: str, **kw) -> DataFrame:
     """Wins, ties, losses and one-sided misses of the committee against each baseline."""
-    best = measures.best_of(all_methods(*data(spark, d, **kw)))
+    best = measures.best_of(compared(spark, d, **kw))
     return measures.win_tie_loss(best).join(measures.one_sided_misses(best), ["dataset", "method"])
 
 
 def scatter(spark: SparkSession, d: str, **kw) -> DataFrame:
     """Score of the committee beside each baseline's, series by series."""
-    return measures.paired(measures.best_of(all_methods(*data(spark, d, **kw))))
+    return measures.paired(measures.best_of(compared(spark, d, **kw)))
 
 
-def ranges(spark: SparkSession, d: str, pairs: tuple[tuple[int, int], ...], **kw) -> DataFrame:
-    """Wins, ties and losses against the best single run for each (w_max, a_max)."""
+def grid(df: DataFrame, n: int, runs: list[tuple[list[tuple[int, int]], float]], k: int = 3, singles: bool = False) -> DataFrame:
+    """(series_id, run, w, a, rank, lo, hi, loc, value): candidates of every committee (run 0 ..; w and a 0) and, if asked, of every single pair (run -1).
+
+    For many short series: a series is one kernel call, which makes the curve of a pair once for all committees that have it.
+    """
+    import pandas as pd
+
+    from rarespan.operators import kernel
+
+    names = ["series_id", "run", "w", "a", "rank", "lo", "hi", "loc", "value"]
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        name = pdf["series_id"].iloc[0]
+        many, each = kernel.committee_grid(pdf.sort_values("pos")["x"].to_numpy(), n, runs, k, singles)
+        found = [(i, 0, 0, got) for i, got in enumerate(many)] + [(-1, w, a, got) for (w, a), got in each.items()]
+        rows = [(name, i, w, a, r + 1, at + 1, at + n, at + 1, v) for i, w, a, got in found for r, (at, v) in enumerate(got)]
+        return pd.DataFrame(rows, columns=names)
+
+    dealt = df.select("series_id", "pos", "x").repartition(max(8, shuffle_partitions(df.sparkSession)), "series_id")
+    return dealt.groupBy("series_id").applyInPandas(run, "series_id string, run int, w int, a int, rank int, lo long, hi long, loc long, value double")
+
+
+WIDEST = ((5, 5), (10, 10), (15, 15), (20, 20), (5, 10), (15, 10), (20, 10), (10, 5), (10, 15), (10, 20))
+
+
+@once
+def range_scores(spark: SparkSession, d: str, pairs: tuple[tuple[int, int], ...] = WIDEST, **kw) -> DataFrame:
+    """Scored candidates (with w_max, a_max) of the committee and the three single-run policies for each range of resolutions."""
     series, truth = data(spark, d, **kw)
+    s = series.select("series_id", "pos", "x")
+    whole = [(w, a) for w in range(2, max(w for w, _ in pairs) + 1) for a in range(2, max(a for _, a in pairs) + 1)]
+    runs = [(com.draw_params(50, w, a, w_cap=N), 0.4) for w, a in pairs]
+    found = cut(grid(s, N, [*runs, (whole, 1.0)], singles=True))
+    ranges = cut(detect.selection_objectives(s, N, w_max=max(w for w, _ in pairs), a_max=max(a for _, a in pairs)))
+    alone = found.where("run = -1").drop("run")
     out = []
+    for i, (w, a) in enumerate(pairs):
+        chosen = {
+            "single/random": detect.random_choice(s, w, a),
+            "single/fixed": s.select("series_id").distinct().withColumn("w", F.lit(4)).withColumn("a", F.lit(4)),
+            "single/selected": detect.selected_choice(ranges.where((F.col("w") <= w) & (F.col("a") <= a))),
+        }
+        got = [evaluate(found.where(F.col("run") == i), truth, "committee")]
+        got += [evaluate(alone.join(c, ["series_id", "w", "a"]), truth, m) for m, c in chosen.items()]
+        out.append(_union(got).withColumn("w_max", F.lit(w)).withColumn("a_max", F.lit(a)))
+    return cut(_union(out))
+
+
+def ranges(spark: SparkSession, d: str, pairs: tuple[tuple[int, int], ...], **kw) -> DataFrame:
+    """Wins, ties and losses against the best single run (of random, fixed and selected) for each (w_max, a_max)."""
+    scored, out = range_scores(spark, d, **kw), []
     for w_max, a_max in pairs:
-        s = series.select("series_id", "pos", "x")
-        scored = _union(
-            [
-                evaluate(detect.detect_committee(s, N, 50, w_max, a_max), truth, "committee"),
-                evaluate(detect.baseline_random(s, N, w_max, a_max), truth, "single/random"),
-                evaluate(detect.baseline_fixed(s, N), truth, "single/fixed"),
-            ]
-        )
-        best = cut(measures.best_of(scored))
+        best = measures.best_of(scored.where((F.col("w_max") == w_max) & (F.col("a_max") == a_max)))
         wtl = measures.win_tie_loss(best).join(measures.best_single(best), ["dataset", "method"])
         out.append(wtl.select(F.lit(w_max).alias("w_max"), F.lit(a_max).alias("a_max"), "dataset", "method", "wins", "ties", "losses"))
     return _union(out)
 
 
+def _table(found: DataFrame, truth: DataFrame, key: DataFrame, names: list[str]) -> DataFrame:
+    """avg_score and hit_rate of each run's candidates; ``key`` gives a run its names."""
+    scored = measures.score(found, truth).join(F.broadcast(key), "run")
+    best = scored.where("rank <= 3").groupBy("dataset", "series_id", *names).agg(F.max("score").alias("score"))
+    return best.groupBy(*names, "dataset").agg(F.avg("score").alias("avg_score"), F.avg((F.col("score") > 0).cast("double")).alias("hit_rate"))
+
+
 def sizes(spark: SparkSession, d: str, members: tuple[int, ...] = (5, 10, 25, 50), **kw) -> DataFrame:
-    """Score and hit rate for each committee size; members are a prefix of the largest draw, so curves are computed once."""
+    """Score and hit rate for each committee size; members are a prefix of the largest draw."""
     series, truth = data(spark, d, **kw)
     params = com.draw_params(max(members), w_cap=N)
-    runs = detect.member_runs(series.select("series_id", "pos", "x"), N, params)
-    out = []
-    for n in members:
-        own = params[:n]
-        some = runs.where(F.struct("w", "a").isin(*[F.struct(F.lit(w), F.lit(a)) for w, a in own]))
-        scored = evaluate(cand.window_candidates(detect.committee_curve(some), N), truth, "committee")
-        both = measures.average_score(measures.best_of(scored)).join(measures.hit_rate(scored), ["dataset", "method"])
-        out.append(both.select(F.lit(n).alias("members"), "dataset", "avg_score", "hit_rate"))
-    return _union(out)
+    found = grid(series, N, [(params[:n], 0.4) for n in members])
+    return _table(found, truth, spark.createDataFrame(list(enumerate(members)), "run int, members int"), ["members"])
 
 
-def selectivity(spark: SparkSession, d: str, taus: tuple[float, ...] = (0.05, 0.1, 0.2, 0.4, 0.8, 1.0), repeats: int = 3, members: int = 50, **kw) -> DataFrame:
-    """Mean and deviation over repeats of the average score for each share of curves kept; curves are computed once a repeat."""
+def selectivity(spark: SparkSession, d: str, taus: tuple[float, ...] = (0.05, 0.1, 0.2, 0.4, 0.8, 1.0), repeats: int = 20, members: int = 50, **kw) -> DataFrame:
+    """Mean and deviation over repeats of the average score for each share of curves kept; each repeat draws its own members."""
     series, truth = data(spark, d, **kw)
-    out = []
-    for r in range(repeats):
-        runs = detect.member_runs(series.select("series_id", "pos", "x"), N, com.draw_params(members, seed=100 + r, w_cap=N))
-        for tau in taus:
-            scored = evaluate(cand.window_candidates(detect.committee_curve(runs, tau), N), truth, "committee")
-            out.append(measures.best_of(scored).withColumn("repeat", F.lit(r)).withColumn("tau", F.lit(tau)))
-    per = _union(out).groupBy("tau", "dataset", "repeat").agg(F.avg("score").alias("s"))
-    return per.groupBy("tau", "dataset").agg(F.avg("s").alias("mean"), F.coalesce(F.stddev_samp("s"), F.lit(0.0)).alias("sd"))
+    keys = [(r, tau) for r in range(repeats) for tau in taus]
+    found = grid(series, N, [(com.draw_params(members, seed=100 + r, w_cap=N), tau) for r, tau in keys])
+    per = _table(found, truth, spark.createDataFrame([(i, *k) for i, k in enumerate(keys)], "run int, repeat int, tau double"), ["repeat", "tau"])
+    return per.groupBy("tau", "dataset").agg(F.avg("avg_score").alias("mean"), F.coalesce(F.stddev_samp("avg_score"), F.lit(0.0)).alias("sd"))
 
 
 def lengths(spark: SparkSession, d: str, shares: tuple[float, ...] = (0.6, 0.7, 0.8, 0.9, 1.0), members: int = 50, **kw) -> DataFrame:
@@ -114,31 +177,32 @@ def lengths(spark: SparkSession, d: str, shares: tuple[float, ...] = (0.6, 0.7,
     series, truth = data(spark, d, **kw)
     out = []
     for share in shares:
-        scored = evaluate(detect.detect_committee(series.select("series_id", "pos", "x"), int(N * share), members), truth, "committee")
-        both = measures.average_score(measures.best_of(scored)).join(measures.hit_rate(scored), ["dataset", "method"])
-        out.append(both.select(F.lit(share).alias("share"), "dataset", "avg_score", "hit_rate"))
+        n = int(N * share)
+        found = grid(series, n, [(com.draw_params(members, w_cap=n), 0.4)])
+        out.append(_table(found, truth, spark.createDataFrame([(0, share)], "run int, share double"), ["share"]))
     return _union(out)
 
 
-def two_anomalies(spark: SparkSession, d: str, copies: int = 3, label: int = 0, members: int = 25) -> DataFrame:
-    """How many of two planted anomalies the first three candidates overlap, for each series."""
-    series, truth = data(spark, d, (label,), copies, normal=40, anomalies=2)
-    found = detect.detect_committee(series.select("series_id", "pos", "x"), N, members)
+def two_anomalies(spark: SparkSession, d: str, copies: int = 10, label: int = 5, members: int = 50, length: int = 1024, normal: int = 40) -> DataFrame:
+    """How many of two planted anomalies the first three candidates overlap, for each series of ``normal`` + 2 instances."""
+    series, truth = data(spark, d, labels=(label,), copies=copies, lengths=(length,), normal=normal, anomalies=2)
+    found = detect.detect_committee(series.select("series_id", "pos", "x"), length, members)
     return measures.truths_found(found, truth)
 
 
 def landscape(df: DataFrame, true_loc: int, n: int, w_max: int = 10, a_max: int = 10) -> DataFrame:
-    """Score of every single (w, a) run on one series, one row a w, one column an a."""
+    """Score of every single (w, a) run on each series, one row a w, one column an a."""
     pairs = [(w, a) for w in range(2, w_max + 1) for a in range(2, a_max + 1)]
     runs = detect.member_runs(df, n, pairs)
     each = runs.withColumn("de", F.col("d").cast("double")).withColumn("series_id", F.concat_ws("|", "series_id", "w", "a"))
     c = cand.window_candidates(each, n)
-    s = c.withColumn("w", F.split("series_id", r"\|")[1].cast("int")).withColumn("a", F.split("series_id", r"\|")[2].cast("int"))
+    parts = F.split("series_id", r"\|")
+    s = c.withColumn("w", parts[1].cast("int")).withColumn("a", parts[2].cast("int")).withColumn("series_id", parts[0])
     s = s.withColumn("score", 1.0 - F.least(F.lit(1.0), F.abs(F.col("loc") - true_loc) / n))
-    return s.groupBy("w").pivot("a", list(range(2, a_max + 1))).agg(F.max("score"))
+    return s.groupBy("series_id", "w").pivot("a", list(range(2, a_max + 1))).agg(F.max("score"))
 
 
-def extreme_curves(df: DataFrame, n: int, members: int = 20) -> DataFrame:
+def extreme_curves(df: DataFrame, n: int, members: int = 50) -> DataFrame:
     """Deviation and level of the two most and the two least varied member curves."""
     stats = com.deviation(com.curve_stats(detect.member_runs(df, n, com.draw_params(members, w_cap=n))))
     ranked = com.keep_by_spread(stats, 1.0)
@@ -157,3 +221,16 @@ def incompressible_share(tokens: DataFrame) -> DataFrame:
         return pd.DataFrame({"series_id": [pdf["series_id"].iloc[0]], "tokens": [len(depth)], "loose": [int((depth == 0).sum())]})
 
     return tokens.groupBy("series_id").applyInPandas(run, "series_id string, tokens long, loose long")
+
+
+def run_times(spark: SparkSession, d: str, points: tuple[int, ...] = (2_000, 4_000, 8_000), sizes: tuple[int, ...] = (100, 200)) -> DataFrame:
+    """(method, n, points, seconds) of the committee and the discord baseline over heads of one long series; each run is computed once and thrown away."""
+    from rarespan.sources.series import from_orders
+
+    walk, rows = cut(from_orders(spark, d, "walk")), []
+    for m in points:
+        head = cut(walk.where(F.col("pos") <= m))
+        for n in sizes:
+            rows.append(("committee", n, m, measures.timed(detect.detect_committee(head, n))))
+            rows.append(("discord", n, m, measures.timed(discord.discord_profile(head, n, tiles=8))))
+    return spark.createDataFrame(rows, "method string, n int, points int, seconds double")

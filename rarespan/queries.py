@@ -181,8 +181,8 @@ def _points(runs: DataFrame) -> DataFrame:
     return runs.select("series_id", F.explode(F.sequence("lo", "hi")).alias("pos"), F.round("de", 9).alias("de"))
 
 
-add("c10_curve_spread", lambda s, d: com.deviation(com.curve_stats(_frequencies(s, d))).select("series_id", "w", "a", "len", "total", "top", "spread", F.round("sd", 9).alias("sd"), F.round("level", 9).alias("level")), o.curve_stats("events_hour", N, PAIRS))
-add("m25_keep", lambda s, d: com.keep_by_spread(com.curve_stats(_frequencies(s, d)), 0.6).select("series_id", "w", "a", "spread", "rank"), o.keep("events_hour", N, PAIRS, 0.6))
+add("c10_curve_spread", lambda s, d: com.deviation(com.curve_stats(_frequencies(s, d))).withColumn("spread", F.col("spread").cast("double")).select("series_id", "w", "a", "len", "total", "top", "spread", F.round("sd", 9).alias("sd"), F.round("level", 9).alias("level")), o.curve_stats("events_hour", N, PAIRS))
+add("m25_keep", lambda s, d: com.keep_by_spread(com.curve_stats(_frequencies(s, d)), 0.6).select("series_id", "w", "a", F.col("spread").cast("double").alias("spread"), "rank"), o.keep("events_hour", N, PAIRS, 0.6))
 for _norm, _key in (("max", "m26_scale"), ("minmax", "m26b_minmax"), ("none", "m26c_unscaled")):
     add(_key, lambda s, d, n=_norm: _kept_curves(s, d, n).select("series_id", "w", "a", F.col("lo").alias("pos"), F.round("v", 9).alias("v")), o.scale("events_hour", N, PAIRS, 0.6, _norm))
 for _how, _key in (("median", "m27_median"), ("mean", "m27b_mean"), ("min", "m27b_min"), ("max", "m27b_max")):
@@ -253,24 +253,88 @@ add("c13_landscape", lambda s, d: wl.landscape(SERIES["part_cycle"](s, d), 17 *
 add("c14_growth", lambda s, d: measures.growth(s.createDataFrame([("linear", p, p / 1000.0) for p in (10, 20, 40)] + [("quadratic", p, p * p / 1000.0) for p in (10, 20, 40)], "method string, points int, seconds double")).select("method", F.round("exponent", 9).alias("exponent")),
     "select method, e as exponent from (values ('linear', 1.0e0), ('quadratic', 2.0e0)) v(method, e)")
 
-_SMALL = {"labels": (0, 1), "copies": 3}
-add("w01_plant", lambda s, d: wl.data(s, d, **_SMALL)[0])
-add("w01_truth", lambda s, d: wl.data(s, d, **_SMALL)[1])
-add("w02_w03_accuracy", lambda s, d: wl.accuracy(s, d, **_SMALL))
-add("w04_duels", lambda s, d: wl.duels(s, d, **_SMALL))
-add("w04b_scatter", lambda s, d: wl.scatter(s, d, **_SMALL))
-add("w05_ranges", lambda s, d: wl.ranges(s, d, ((5, 5), (10, 10)), labels=(0,), copies=3))
-add("w06_w_ranges", lambda s, d: wl.ranges(s, d, ((5, 10), (15, 10)), labels=(0,), copies=3))
-add("w07_a_ranges", lambda s, d: wl.ranges(s, d, ((10, 5), (10, 15)), labels=(0,), copies=3))
-add("w08_sizes", lambda s, d: wl.sizes(s, d, labels=(0,), copies=3))
-add("w09_selectivity", lambda s, d: wl.selectivity(s, d, (0.1, 0.4, 1.0), 2, 25, labels=(0,), copies=3))
-add("w10_lengths", lambda s, d: wl.lengths(s, d, (0.6, 1.0), 25, labels=(0,), copies=3))
+add("w01_plant", lambda s, d: wl.data(s, d)[0])
+add("w01_truth", lambda s, d: wl.data(s, d)[1], o.planted_truth(6, 25))
+add("w02_w03_accuracy", lambda s, d: wl.accuracy(s, d))
+add("w04_duels", lambda s, d: wl.duels(s, d))
+add("w04b_scatter", lambda s, d: wl.scatter(s, d))
+add("w05_ranges", lambda s, d: wl.ranges(s, d, ((5, 5), (10, 10), (15, 15), (20, 20))))
+add("w06_w_ranges", lambda s, d: wl.ranges(s, d, ((5, 10), (10, 10), (15, 10), (20, 10))))
+add("w07_a_ranges", lambda s, d: wl.ranges(s, d, ((10, 5), (10, 10), (10, 15), (10, 20))))
+add("w08_sizes", lambda s, d: wl.sizes(s, d))
+add("w09_selectivity", lambda s, d: wl.selectivity(s, d))
+add("w10_lengths", lambda s, d: wl.lengths(s, d))
+add("w11_c07_run_times", lambda s, d: wl.run_times(s, d))
 add("w13_two_anomalies", lambda s, d: wl.two_anomalies(s, d))
 add("w12_long_series", lambda s, d: detect.detect_committee(SERIES["lineitem_seq"](s, d), 900, 50, k=2, core=8192))
 add("w14_sensitivity", lambda s, d: wl.landscape(SERIES["part_cycle"](s, d), 17 * 40 + 1, 40))
 add("w15_extreme_curves", lambda s, d: wl.extreme_curves(SERIES["part_cycle"](s, d), 40))
-add("w17_minimum_at_anomaly", lambda s, d: detect.detect_committee(SERIES["part_cycle"](s, d), 40, 20, k=1).select((F.abs(F.col("loc") - 681) < 40).alias("inside")), "select true as inside")
+add("w17_minimum_at_anomaly", lambda s, d: detect.detect_committee(SERIES["part_cycle"](s, d), 40, 20, k=1).select("series_id", (F.abs(F.col("loc") - 681) < 40).alias("inside")))
 add("w18_cost", lambda s, d: s.createDataFrame([(n, measures.word_cost(n, 10, 10)["direct"] / measures.word_cost(n, 10, 10)["shared"]) for n in (50, 100, 900)], "n int, ratio double").select("n", F.round("ratio", 6).alias("ratio")),
     "select cast(n as int) as n, round((n * 81.0e0 + 54 * 45) / (54 * 6.0e0), 6) as ratio from (values (50), (100), (900)) v(n)")
-add("w19_many_series", lambda s, d: detect.detect_committee(SERIES["events_user"](s, d), 8, 5))
+add("w19_many_series", lambda s, d: detect.detect_committee(SERIES["events_user"](s, d), 8))
 add("w20_text", lambda s, d: wl.incompressible_share(src.doc_words(s, d)))
+
+
+def _agreement(s: SparkSession, d: str, name: str, n: int, params: list[tuple[int, int]], tau: float = 0.4) -> DataFrame:
+    """What must hold of the on-line committee on a whole series table, counted where it does not.
+
+    tokens: points that expanding each member's grammar does not give back. twins, idle: broken constraints of the grammars. kept: series without ceil(tau x members) curves.
+    scaled: kept curves whose greatest value is not 1 (or 0 where all are). median: places where the curve is not the point-wise median taken by SQL. first: series whose first
+    candidate is not the leftmost window of least sum.
+    """
+    df = cut(SERIES[name](s, d))
+    t, ends = cut(win.collapse_runs(detect.tokens_by_kernel(df, n, params), last=detect.series_ends(df))), detect.series_ends(df)
+    rules = cut(den.grammars(t))
+    back = den.expand_grammar(rules)
+    given = t.select(*back.columns)
+    runs = cut(den.density(t, ends))
+    kept = com.keep_by_spread(com.curve_stats(runs), tau)
+    scaled = cut(com.scaled(runs, kept))
+    curve = cut(com.combine(scaled))
+    points = scaled.select("series_id", F.explode(F.sequence("lo", "hi")).alias("pos"), "v").groupBy("series_id", "pos").agg(F.round(F.expr("percentile(v, 0.5)"), 9).alias("m"))
+    wrong = points.join(_points(curve), ["series_id", "pos"], "full").where("m is null or de is null or abs(m - de) > 1e-9")
+    sums = cand.window_values(curve.select("series_id", "lo", "hi", "de"), n).withColumn("value", F.round("value", 6))
+    first = sums.groupBy("series_id").agg(F.min(F.struct("value", "pos"))["pos"].alias("least"))
+    short = detect.detect_committee(df, n, len(params), w_max=max(w for w, _ in params), a_max=max(a for _, a in params), tau=tau, k=1)
+    off = first.join(short.select("series_id", "loc"), "series_id", "left").where("loc is null or loc <> least")
+    most = F.lit(com.kept_count(tau, len(params)))
+    count = lambda name, bad: bad.agg(F.count("*").alias("off")).select(F.lit(name).alias("rule"), "off")
+    tops = scaled.groupBy("series_id", "w", "a").agg(F.max("v").alias("v")).where("v <> 1 and v <> 0")
+    return wl._union(
+        [
+            count("tokens", given.exceptAll(back).unionByName(back.exceptAll(given))), count("twins", den.digram_violations(rules)), count("idle", den.utility_violations(rules)),
+            count("kept", kept.groupBy("series_id").count().where(F.col("count") != most)), count("scaled", tops), count("median", wrong), count("first", off),
+        ]
+    )
+
+
+_HOLDS = "select rule, cast(0 as bigint) as off from (values ('tokens'), ('twins'), ('idle'), ('kept'), ('scaled'), ('median'), ('first')) v(rule)"
+for _name, _n in (("events_type_hour", 24), ("part_cycle", 40), ("nation_month", 12)):
+    add(f"m28_holds_{_name}", lambda s, d, x=_name, n=_n: _agreement(s, d, x, n, com.draw_params(50, w_cap=n)), _HOLDS)
+
+
+def _rounds_settled(s: SparkSession, d: str) -> DataFrame:
+    """What a finished rounds grammar must not leave: pairs that still repeat, and top-level symbols whose lengths do not add up to the tokens."""
+    t = _collapsed(_hour(s, d), N, 3, 3)
+    seq, _, _ = rnd.induce_rounds(t)
+    lost = t.groupBy("series_id").count().join(seq.groupBy("series_id").agg(F.sum("len").alias("len")), "series_id").where("count <> len")
+    return rnd.repeating_pairs(seq).agg(F.count("*").alias("pairs")).join(lost.agg(F.count("*").alias("lost")), F.lit(True))
+
+
+add("m16_rounds_settled", _rounds_settled, "select cast(0 as bigint) as pairs, cast(0 as bigint) as lost")
+
+
+def _chosen_agree(s: SparkSession, d: str, name: str, n: int) -> DataFrame:
+    """Candidates of the random baseline beside those of the fixed pair's runs it drew, series by series: rows that only one of them has."""
+    df = cut(SERIES[name](s, d))
+    drawn = detect.random_choice(df)
+    each = wl.grid(df, n, [([(w, a) for w in range(2, 11) for a in range(2, 11)], 1.0)], singles=True).where("run = -1")
+    one = each.join(drawn, ["series_id", "w", "a"]).select("series_id", "rank", "lo", "hi", "loc", F.round("value", 6).alias("value"))
+    two = detect.baseline_random(df, n).select(*one.columns[:-1], F.round("value", 6).alias("value"))
+    return one.exceptAll(two).unionByName(two.exceptAll(one)).agg(F.count("*").alias("off"))
+
+
+add("b1_holds", lambda s, d: _chosen_agree(s, d, "nation_month", 12), "select cast(0 as bigint) as off")
+add("b1_random_choice", lambda s, d: detect.random_choice(SERIES["nation_month"](s, d)),
+    f"with {o.SERIES['nation_month']}, c as (select distinct series_id, cast('0x' || substr(md5('42:' || series_id), 1, 8) as bigint) % 81 as i from s) select series_id, cast(i // 9 + 2 as int) as w, cast(i % 9 + 2 as int) as a from c")

@@ -100,13 +100,14 @@ def from_nation(spark: SparkSession, d: str, of: str = "customer") -> DataFrame:
 
 
 def from_part_cycle(spark: SparkSession, d: str, period: int = 40, reps: int = 30, odd: int = 17) -> DataFrame:
-    """An exactly periodic series from part sizes, one cycle (the ``odd``-th, from 0) replaced by other sizes."""
-    p = table(spark, d, "part").where(F.col("p_partkey") <= 2 * period).select("p_partkey", F.col("p_size").cast("long").alias("x"))
-    p = p.select((F.row_number().over(Window.orderBy("p_partkey")) - 1).alias("i"), "x")
-    usual, other = p.where(F.col("i") < period), p.where((F.col("i") >= period) & (F.col("i") < 2 * period)).withColumn("i", F.col("i") - period)
+    """Exactly periodic series from part sizes, one for every 2 x ``period`` parts in a row: the first half is the cycle, the second replaces the ``odd``-th (from 0)."""
+    p = table(spark, d, "part").select(F.expr(f"(p_partkey - 1) div {2 * period}").alias("block"), "p_partkey", F.col("p_size").cast("long").alias("x"))
+    per = Window.partitionBy("block")
+    p = p.select("block", (F.row_number().over(per.orderBy("p_partkey")) - 1).alias("i"), "x", F.count("*").over(per).alias("n")).where(F.col("n") == 2 * period).drop("n")
+    usual, other = p.where(F.col("i") < period), p.where(F.col("i") >= period).withColumn("i", F.col("i") - period)
     rep = F.explode(F.sequence(F.lit(0), F.lit(reps - 1)))
     rows = usual.withColumn("rep", rep).where(F.col("rep") != odd).unionByName(other.withColumn("rep", F.lit(odd)))
-    return rows.select(F.lit("cycle").alias("series_id"), (F.col("rep") * period + F.col("i") + 1).cast("long").alias("pos"), "x")
+    return rows.select(F.concat(F.lit("cycle-"), F.col("block").cast("string")).alias("series_id"), (F.col("rep") * period + F.col("i") + 1).cast("long").alias("pos"), "x")
 
 
 def from_documents(spark: SparkSession, d: str, by: str = "lang") -> DataFrame:

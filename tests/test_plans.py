@@ -3,9 +3,12 @@
 import io
 from contextlib import redirect_stdout
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from rarespan.operators import committee as com
+from rarespan.operators import kernel
 from rarespan.operators import windows as win
 from rarespan.plans import detect, plant
 from rarespan.plans import workloads as wl
@@ -71,6 +74,34 @@ def test_planted_series_have_one_odd_stretch(spark, sf):
 
 
 def test_committee_beats_single_runs_on_planted_series(spark, sf):
-    got = {(r.method): r for r in wl.accuracy(spark, sf, labels=(0,), copies=6).collect()}
-    singles = [got[m].avg_score for m in ("single/random", "single/fixed", "single/selected")]
-    assert got["committee"].avg_score >= max(singles) - 0.1 and got["committee"].hit_rate >= 0.5
+    """Over all six datasets together; on a single one a lucky resolution may win."""
+    scored = wl.range_scores(spark, sf, pairs=((10, 10),))
+    best = wl.measures.best_of(scored).groupBy("method").agg(F.avg("score").alias("s"), F.avg((F.col("score") > 0).cast("int")).alias("hit"))
+    got = {r.method: r for r in best.collect()}
+    assert got["committee"].s > max(got[m].s for m in ("single/random", "single/fixed", "single/selected")) and got["committee"].hit >= 0.9
+    print({m: (round(r.s, 3), round(r.hit, 3)) for m, r in got.items()})
+
+
+def test_grid_gives_what_the_detectors_give(spark, sf):
+    s = plant.planted(spark, sf, 1, copies=3)[0].select("series_id", "pos", "x")
+    pairs = com.draw_params(20, w_cap=64)
+    got = wl.grid(s, 64, [(pairs[:10], 0.4), (pairs, 0.2)], singles=True).collect()
+    row = lambda r: (r.series_id, r.rank, r.loc, round(r.value, 6))
+    for run, (members, tau) in enumerate(((10, 0.4), (20, 0.2))):
+        for short in (0, detect.SHORT):  # both ways of the committee
+            assert {row(r) for r in got if r.run == run} == {row(r) for r in detect.detect_committee(s, 64, members, tau=tau, short=short).collect()}
+    w, a = pairs[3]
+    assert {row(r) for r in got if (r.run, r.w, r.a) == (-1, w, a)} == {row(r) for r in detect.detect_single(s, 64, w, a).collect()}
+
+
+def test_words_do_not_depend_on_the_level_of_the_values():
+    rng = np.random.default_rng(1)
+    x = rng.integers(-1000, 1000, 400)
+    plain = [(w, a, at.tolist(), words.tolist()) for w, a, at, words in kernel.chunk_tokens(x, 24, 400, [(3, 4), (5, 7)], 7)]
+    moved = [(w, a, at.tolist(), words.tolist()) for w, a, at, words in kernel.chunk_tokens(x + 3 * 10**15, 24, 400, [(3, 4), (5, 7)], 7)]
+    scaled = [(w, a, at.tolist(), words.tolist()) for w, a, at, words in kernel.chunk_tokens(x * 10**5, 24, 400, [(3, 4), (5, 7)], 7)]
+    assert plain == moved == scaled
+    with pytest.raises(OverflowError, match="scale them down"):
+        list(kernel.chunk_tokens(x * 10**7, 24, 400, [(3, 4)], 4))
+    far = kernel.profile_tile(x[:60] + 10**9, 12, 12, 50)
+    assert np.allclose(far, kernel.profile_tile(x[:60], 12, 12, 50))
