@@ -87,10 +87,10 @@ def utility_violations(rules: DataFrame) -> DataFrame:
     return have.join(used, [*_KEYS, "sym"], "left").where(F.coalesce("count", F.lit(0)) < 2)
 
 
-def density_from_spans(spans: DataFrame, ends: DataFrame, count: str = "instances") -> DataFrame:
+def density_from_spans(spans: DataFrame, ends: DataFrame, count: str = "instances", members: DataFrame | None = None) -> DataFrame:
     """DENSITY_RUN rows from instance intervals: +1 / -1 events, running sums. ``ends`` has series_id and last_pos.
 
-    count="rules" counts a rule once however many of its instances cover a point.
+    ``members`` (series_id, w, a) names those that have a curve even without any span; else they are those of the spans. count="rules" counts a rule once however many of its instances cover a point.
     """
     if count == "rules":
         over = Window.partitionBy(*_KEYS, "rule").orderBy("lo", "hi")
@@ -98,7 +98,7 @@ def density_from_spans(spans: DataFrame, ends: DataFrame, count: str = "instance
         isle = spans.withColumn("_new", F.when(F.col("lo") <= top + 1, 0).otherwise(1)).withColumn("_isle", F.sum("_new").over(over))
         spans = isle.groupBy(*_KEYS, "rule", "_isle").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
     steps = spans.select(*_KEYS, F.inline(F.array(F.struct(F.col("lo").alias("pos"), F.lit(1).alias("s")), F.struct((F.col("hi") + 1).alias("pos"), F.lit(-1).alias("s")))))
-    series = spans.select(*_KEYS).distinct().join(ends, "series_id")
+    series = (spans if members is None else members).select(*_KEYS).distinct().join(ends, "series_id")
     steps = steps.unionByName(series.select(*_KEYS, F.lit(1).cast("long").alias("pos"), F.lit(0).alias("s")))
     net = steps.groupBy(*_KEYS, "pos").agg(F.sum("s").alias("s"))
     over = Window.partitionBy(*_KEYS).orderBy("pos")

@@ -91,4 +91,4 @@ def density_by_rounds(tokens: DataFrame, rounds: int | None = None) -> DataFrame
     hi = at.select(*_KEYS, F.col("tok_ix").alias("hi_tok"), F.col("run_end").alias("hi"))
     placed = spans.join(lo, [*_KEYS, "lo_tok"]).join(hi, [*_KEYS, "hi_tok"]).withColumnRenamed("name", "rule")
     ends = tokens.groupBy("series_id").agg(F.max("run_end").alias("last_pos"))
-    return density_from_spans(placed, ends)
+    return density_from_spans(placed, ends, members=tokens)
