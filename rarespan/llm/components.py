@@ -12,7 +12,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rarespan.runtime import cut_in_loop
+from rarespan.runtime import cut_in_loop, shuffle_partitions
+
+ROWS = 100_000  # of a partition of what is left; later rounds are small and need not as many tasks and files as the first
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -26,7 +28,11 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         .distinct()
     )
     known: DataFrame | None = None
+    left, room = edges.count(), shuffle_partitions(edges.sparkSession)
+    tasks = lambda n: max(1, min(room, -(-n // ROWS)))
+    wide = tasks(2 * left)
     for r in range(max_rounds):
+        few = tasks(2 * left)
         order = F.struct(F.xxhash64("to", F.lit(r)), "to")
         lowest = (
             edges.select(F.col("u").alias("node"), F.col("v").alias("to"))
@@ -36,12 +42,12 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             .groupBy("node")
             .agg(F.min_by("to", order).alias("to"))
         )
-        lowest = cut_in_loop(lowest)
+        lowest = cut_in_loop(lowest.coalesce(few))
         jump = lowest
         for _ in range(2):
             far = jump.select(F.col("node").alias("to"), F.col("to").alias("far"))
             jump = jump.join(far, "to", "left").select("node", F.coalesce("far", "to").alias("to"))
-        jump = cut_in_loop(jump)
+        jump = cut_in_loop(jump.coalesce(few))
         if known is None:
             known = jump.select("node", F.col("to").alias("root"))
         else:
@@ -55,9 +61,11 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             .where("x <> y")
             .select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v"))
             .distinct()
+            .coalesce(few)
         )
-        known = cut_in_loop(known)
-        if edges.isEmpty():
+        known = cut_in_loop(known.coalesce(wide))
+        left = edges.count()
+        if not left:
             lowest = known.groupBy("root").agg(F.min("node").alias("low"))
             return known.join(lowest, "root").select("node", F.col("low").alias("root"))
     raise RuntimeError(f"components are not settled after {max_rounds} rounds")
