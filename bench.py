@@ -49,14 +49,16 @@ def main() -> None:
         return n, max(4096, -(-n // parts))
 
     timed("warm_up", lambda: detect.detect_single(series.from_events(spark, sf_dir), 24, 3, 3))
+    begin = time.perf_counter()
     seq = cut(series.from_lineitem(spark, sf_dir))
+    times["source_lineitem"] = round(time.perf_counter() - begin, 3)
     points, core = spread(seq, 2 * int(cpus))
     timed("committee_lineitem_n900", lambda: detect.detect_committee(seq, 900, k=2, core=core))
     walk = cut(series.from_orders(spark, sf_dir, "walk"))
     n_walk, core = spread(walk, 2 * int(cpus))
     for n in (100, 400):
         timed(f"committee_walk_n{n}", lambda n=n: detect.detect_committee(walk, n, core=core))
-    ladder = [k for k in (10_000, 20_000, 40_000) if k <= n_walk]
+    ladder = [k for k in (10_000, 20_000, 40_000, 80_000, 150_000) if k <= n_walk]
     for k in ladder:
         part = cut(walk.where(F.col("pos") <= k))
         timed(f"committee_walk_{k}", lambda part=part: detect.detect_committee(part, 200, core=core))
@@ -84,6 +86,7 @@ def main() -> None:
         "points_per_s": round(points / times["committee_lineitem_n900"]),
         "growth_committee": slope("committee"),
         "growth_discord": slope("discord"),
+        "discord_over_committee": round(times[f"discord_walk_{ladder[-1]}"] / times[f"committee_walk_{ladder[-1]}"], 2) if ladder else None,
         "cpus": int(cpus),
     }
     print(json.dumps(out), flush=True)
