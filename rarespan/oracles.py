@@ -44,7 +44,7 @@ SERIES = {
     "lineitem_day": _dense(f"select l_returnflag as series_id, {_epoch('l_shipdate', 86400)} as step, sum({_UNITS.format(c='l_quantity')}) as x from lineitem group by 1, 2"),
     "nation_month": _dense(_nation("customer")),
     "supplier_month": _dense(_nation("supplier")),
-    "part_cycle": """p0 as (select (p_partkey - 1) // 80 as block, row_number() over (partition by (p_partkey - 1) // 80 order by p_partkey) - 1 as i, cast(p_size as bigint) as x, count(*) over (partition by (p_partkey - 1) // 80) as n from part),
+    "part_cycle": """p0 as (select p_partkey // 80 as block, row_number() over (partition by p_partkey // 80 order by p_partkey) - 1 as i, cast(p_size as bigint) as x, count(*) over (partition by p_partkey // 80) as n from part),
     p as (select block, i, x from p0 where n = 80),
     s as (select 'cycle-' || block as series_id, cast(rep * 40 + i % 40 + 1 as bigint) as pos, x from p, (select unnest(generate_series(0, 29)) as rep) r where (rep <> 17 and i < 40) or (rep = 17 and i >= 40))""",
     "doc_lengths": "s as (select lang as series_id, row_number() over (partition by lang order by doc_id) as pos, n_chars as x from documents)",

@@ -101,7 +101,7 @@ def from_nation(spark: SparkSession, d: str, of: str = "customer") -> DataFrame:
 
 def from_part_cycle(spark: SparkSession, d: str, period: int = 40, reps: int = 30, odd: int = 17) -> DataFrame:
     """Exactly periodic series from part sizes, one for every 2 x ``period`` parts in a row: the first half is the cycle, the second replaces the ``odd``-th (from 0)."""
-    p = table(spark, d, "part").select(F.expr(f"(p_partkey - 1) div {2 * period}").alias("block"), "p_partkey", F.col("p_size").cast("long").alias("x"))
+    p = table(spark, d, "part").select(F.expr(f"p_partkey div {2 * period}").alias("block"), "p_partkey", F.col("p_size").cast("long").alias("x"))
     per = Window.partitionBy("block")
     p = p.select("block", (F.row_number().over(per.orderBy("p_partkey")) - 1).alias("i"), "x", F.count("*").over(per).alias("n")).where(F.col("n") == 2 * period).drop("n")
     usual, other = p.where(F.col("i") < period), p.where(F.col("i") >= period).withColumn("i", F.col("i") - period)
