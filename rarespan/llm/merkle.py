@@ -5,7 +5,10 @@ A text is cut at blank lines into sections, at line breaks into paragraphs and a
 hashes its leaves in order, a section's node its paragraphs, the root its sections. Equal roots mean equal texts; where
 two trees differ, descending into the differing branches locates the edit.
 
-The printed fingerprint is the root followed by the leaves, so that the likeness of two documents can be told from their fingerprints alone.
+The fingerprint is the root followed by the ``NODES`` smallest of the distinct hashes (32 bits) of all the tree's nodes: phrases, paragraphs, sections and the root.
+It is bounded for any length of text, and for trees of fewer nodes it is all of them. The likeness of two documents is told from their fingerprints alone:
+twice the shared nodes over the nodes of both, as far as both fingerprints reach. Equal sections bring all that lies below them; a phrase that moved to
+another place keeps its own node but changes those above.
 """
 
 from __future__ import annotations
@@ -18,6 +21,7 @@ from pyspark.sql import functions as F
 from rarespan.runtime import shuffle_partitions
 
 LEAF = 200
+NODES = 128  # of a fingerprint; likeness of larger trees is off by about 1 / sqrt(NODES) at most
 _MARKS = r".,!?;:|&%$#*…。"
 _PHRASE = rf"[^{_MARKS}]{{0,{LEAF}}}[{_MARKS}]+|[^{_MARKS}]{{1,{LEAF}}}"
 _SECTION = r"\n[ \t]*\n"
@@ -30,44 +34,53 @@ def tree(text: Column) -> Column:
     return F.transform(F.split(F.coalesce(text, F.lit("")), _SECTION, -1), paragraphs)
 
 
-def section_nodes(text_tree: Column) -> Column:
-    return F.transform(text_tree, lambda s: F.md5(F.array_join(F.transform(s, lambda p: F.md5(F.array_join(p.cast("array<string>"), ","))), ",")))
+def paragraph_nodes(text_tree: Column) -> Column:
+    """array<sections> of the paragraphs' nodes, each a hash over its leaves in order."""
+    return F.transform(text_tree, lambda s: F.transform(s, lambda p: F.md5(F.array_join(p.cast("array<string>"), ","))))
 
 
-def root(text_tree: Column, text: Column) -> Column:
+def section_nodes(paragraphs: Column) -> Column:
+    return F.transform(paragraphs, lambda s: F.md5(F.array_join(s, ",")))
+
+
+def root(sections: Column, text: Column) -> Column:
     """Hash over the section nodes; blank lines differ in their own white space, so the text's length and hash take part too."""
     t = F.coalesce(text, F.lit(""))
-    return F.md5(F.concat_ws(",", F.array_join(section_nodes(text_tree), ","), F.char_length(t).cast("string"), F.xxhash64(t).cast("string")))
+    return F.md5(F.concat_ws(",", F.array_join(sections, ","), F.char_length(t).cast("string"), F.xxhash64(t).cast("string")))
+
 
+def least_nodes(text_tree: Column, paragraphs: Column, sections: Column, top: Column, most: int = NODES) -> Column:
+    """The ``most`` smallest distinct node hashes of all levels, ascending, 32 bits of each."""
+    inner = F.transform(F.concat(F.flatten(paragraphs), sections, F.array(top)), lambda h: F.xxhash64(h))
+    every = F.transform(F.concat(F.flatten(F.flatten(text_tree)), inner), lambda h: h.bitwiseAND(F.lit(0xFFFFFFFF)).cast("long"))
+    return F.slice(F.sort_array(F.array_distinct(every)), 1, most)
 
-def leaves(text_tree: Column) -> Column:
-    """The leaves in order, 32 bits of each."""
-    return F.transform(F.flatten(F.flatten(text_tree)), lambda h: h.bitwiseAND(F.lit(0xFFFFFFFF)).cast("long"))
 
+def printed(node: Column, nodes: Column) -> Column:
+    return F.concat(node, F.lit(":"), F.array_join(F.transform(nodes, lambda h: F.lower(F.lpad(F.hex(h), 8, "0"))), ""))
 
-def printed(node: Column, leaf: Column) -> Column:
-    return F.concat(node, F.lit(":"), F.array_join(F.transform(leaf, lambda h: F.lower(F.lpad(F.hex(h), 8, "0"))), ""))
 
+def likeness(a: Column, b: Column, most: int = NODES) -> Column:
+    """Twice the shared nodes over those of both, among the hashes up to where both fingerprints reach; 1 only for equal node sets."""
+    reach = lambda x: F.when(F.size(x) >= most, F.element_at(x, -1)).otherwise(F.lit(1 << 32))
+    end = F.least(reach(a), reach(b))
+    within = F.size(F.filter(a, lambda h: h <= end)) + F.size(F.filter(b, lambda h: h <= end))
+    return 2.0 * F.size(F.array_intersect(a, b)) / within
 
-def likeness(a: Column, b: Column) -> Column:
-    """Twice the shared distinct leaves over all distinct leaves of both; two without leaves are alike."""
-    x, y = F.size(F.array_distinct(a)), F.size(F.array_distinct(b))
-    return F.when(x + y == 0, 1.0).otherwise(2.0 * F.size(F.array_intersect(a, b)) / F.greatest(x + y, F.lit(1)))
+
+def with_nodes(docs: DataFrame, text: Column) -> DataFrame:
+    """The rows with merkle_tree, merkle_paragraphs, merkle_sections, merkle_root and merkle_nodes added, level by level."""
+    docs = docs.withColumn("merkle_tree", tree(text)).withColumn("merkle_paragraphs", paragraph_nodes(F.col("merkle_tree")))
+    docs = docs.withColumn("merkle_sections", section_nodes(F.col("merkle_paragraphs"))).withColumn("merkle_root", root(F.col("merkle_sections"), text))
+    return docs.withColumn("merkle_nodes", least_nodes(F.col("merkle_tree"), F.col("merkle_paragraphs"), F.col("merkle_sections"), F.col("merkle_root")))
 
 
 def fingerprints(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """The documents with columns merkle_root, merkle_sections (node hashes), merkle_leaves and fingerprint added.
+    """The documents with the columns of ``with_nodes`` and fingerprint added.
 
     Columns of these names are replaced. Null and empty texts share one fingerprint. Every row gets its own, repeated or not.
     """
-    text = F.col(text_col)
-    return (
-        docs.withColumn("merkle_tree", tree(text))
-        .withColumn("merkle_root", root(F.col("merkle_tree"), text))
-        .withColumn("merkle_sections", section_nodes(F.col("merkle_tree")))
-        .withColumn("merkle_leaves", leaves(F.col("merkle_tree")))
-        .withColumn("fingerprint", printed(F.col("merkle_root"), F.col("merkle_leaves")))
-    )
+    return with_nodes(docs, F.col(text_col)).withColumn("fingerprint", printed(F.col("merkle_root"), F.col("merkle_nodes")))
 
 
 def differing_branches(a: Column, b: Column) -> Column:
@@ -128,20 +141,19 @@ def edit_comparison(docs: DataFrame) -> DataFrame:
     follows itself. Null texts count as empty; an empty table gives no rows; other columns are ignored.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
-    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).withColumn("tree", tree(F.col("text")))
-    base = base.select("doc_id", "text", root(F.col("tree"), F.col("text")).alias("root"), leaves(F.col("tree")).alias("leaf"))
-    both = with_next(base, {"next_text": "text", "next_leaf": "leaf"}).withColumn("n_chars", F.char_length("text").cast("long"))
+    base = with_nodes(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")), F.col("text"))
+    base = base.select("doc_id", "text", F.col("merkle_root").alias("root"), F.col("merkle_nodes").alias("nodes"))
+    both = with_next(base, {"next_text": "text", "next_nodes": "nodes"}).withColumn("n_chars", F.char_length("text").cast("long"))
     half = F.expr("cast(n_chars div 2 as int)")
     n = F.col("n_chars").cast("int")
     both = both.withColumn("edited", F.concat(F.substring("text", F.lit(1), n - half), F.substring("next_text", F.lit(1), half)))
-    both = both.withColumn("edited_tree", tree(F.col("edited")))
-    both = both.withColumn("edited_leaf", leaves(F.col("edited_tree")))
+    both = with_nodes(both, F.col("edited"))
     return both.select(
         "doc_id",
         "n_chars",
         F.sha2("edited", 256).alias("edited_sha256"),
-        printed(F.col("root"), F.col("leaf")).alias("fingerprint"),
-        printed(root(F.col("edited_tree"), F.col("edited")), F.col("edited_leaf")).alias("edited_fingerprint"),
-        likeness(F.col("leaf"), F.col("edited_leaf")).alias("near_edited"),
-        likeness(F.col("leaf"), F.col("next_leaf")).alias("near_next"),
+        printed(F.col("root"), F.col("nodes")).alias("fingerprint"),
+        printed(F.col("merkle_root"), F.col("merkle_nodes")).alias("edited_fingerprint"),
+        likeness(F.col("nodes"), F.col("merkle_nodes")).alias("near_edited"),
+        likeness(F.col("nodes"), F.col("next_nodes")).alias("near_next"),
     )

@@ -1,13 +1,66 @@
 import hashlib
 import random
+import re
 
+import xxhash
 from pyspark.sql import functions as F
 
-from rarespan.llm.merkle import differing_branches, edit_comparison, fingerprints, tree, with_next
+from rarespan.llm.merkle import LEAF, NODES, differing_branches, edit_comparison, fingerprints, tree, with_next
 
 SCHEMA = "doc_id long, text string, root string"
 
 
+def all_nodes(text):
+    """(root, set of the hashes of all nodes) in plain Python."""
+    md5 = lambda x: hashlib.md5(x.encode()).hexdigest()
+    h64 = lambda x: xxhash.xxh64(x.encode(), seed=42).intdigest()
+    signed = lambda x: str(x - (1 << 64) if x >> 63 else x)
+    marks = ".,!?;:|&%$#*…。"
+    cut = rf"[^{marks}]{{0,{LEAF}}}[{marks}]+|[^{marks}]{{1,{LEAF}}}"
+    leaves = [[[h64(x) for x in re.findall(cut, p)] for p in s.split("\n")] for s in re.split(r"\n[ \t]*\n", text)]
+    paragraphs = [[md5(",".join(map(signed, p))) for p in s] for s in leaves]
+    sections = [md5(",".join(s)) for s in paragraphs]
+    top = md5(",".join([",".join(sections), str(len(text)), signed(h64(text))]))
+    inner = [h64(x) for x in [*(p for s in paragraphs for p in s), *sections, top]]
+    return top, {h & 0xFFFFFFFF for h in [*(h for s in leaves for p in s for h in p), *inner]}
+
+
+def near(a, b):
+    return 2 * len(a & b) / (len(a) + len(b))
+
+
+def test_likeness_equals_brute_force_on_whole_trees(spark):
+    rnd = random.Random(11)
+    part = ["one two. ", "three, ", "\n", "\n \t\n", "𝟘é; ", "x" * 450, "four"]
+    texts = ["".join(rnd.choice(part) for _ in range(rnd.randrange(40))) for _ in range(120)] + ["", "a. b.", "b. a."]
+    df = spark.createDataFrame([(i, t, "") for i, t in enumerate(texts)], SCHEMA)
+    got = {r.doc_id: r for r in edit_comparison(df).collect()}
+    for i, t in enumerate(texts):
+        nxt = texts[i - 1]
+        half = len(t) // 2
+        (top, own), (_, other), (changed, after) = all_nodes(t), all_nodes(nxt), all_nodes(t[: len(t) - half] + nxt[:half])
+        assert len(own) < NODES
+        assert got[i].fingerprint == top + ":" + "".join(f"{h:08x}" for h in sorted(own))
+        assert got[i].edited_fingerprint.startswith(changed)
+        assert abs(got[i].near_edited - near(own, after)) < 1e-12 and abs(got[i].near_next - near(own, other)) < 1e-12
+    assert got[len(texts) - 1].near_next < 1  # the same phrases in another order
+
+
+def test_long_texts_have_bounded_fingerprints_and_close_likeness(spark):
+    rnd = random.Random(12)
+    words = [f"w{i}" for i in range(3000)]
+    rows = []
+    for i in range(12):
+        rows.append((i, "\n".join(" ".join(rnd.choices(words, k=9)) + "." for _ in range(800 if i % 3 else 60)), ""))
+    got = {r.doc_id: r for r in edit_comparison(spark.createDataFrame(rows, SCHEMA)).collect()}
+    for i, t, _ in rows:
+        nxt = rows[i - 1][1]
+        half = len(t) // 2
+        (_, own), (_, after) = all_nodes(t), all_nodes(t[: len(t) - half] + nxt[:half])
+        assert len(got[i].fingerprint) <= 33 + 8 * NODES
+        assert abs(got[i].near_edited - near(own, after)) < 0.2 and got[i].near_edited > got[i].near_next
+
+
 def test_edits_equal_brute_force(spark):
     rnd = random.Random(4)
     words = ["a", "bc.", "é,", "\n", "\n\n", "𝟘", "long" * 80, "$$$"]
