@@ -178,21 +178,26 @@ class OnlineInducer:
         return out
 
 
+def _renumbered(bodies: dict[int, list[int]]) -> dict[int, list[int]]:
+    name = {r: i for i, r in enumerate(sorted(bodies))}
+    return {name[r]: [(name[v >> 1] << 1) | 1 if v & 1 else v for v in body] for r, body in bodies.items()}
+
+
 def induce(tokens: Sequence[int]) -> dict[int, list[int]]:
     """Grammar of a token sequence, rules renumbered 0, 1, 2 .. in order of creation."""
     kernel = OnlineInducer()
     feed = kernel.feed
     for t in tokens:
         feed(t)
-    bodies = kernel.bodies()
-    name = {r: i for i, r in enumerate(sorted(bodies))}
-    return {name[r]: [(name[v >> 1] << 1) | 1 if v & 1 else v for v in body] for r, body in bodies.items()}
+    return _renumbered(kernel.bodies())
 
 
 def induce_trace(tokens: Sequence[int]) -> Iterator[dict[int, list[int]]]:
-    """The grammar after each token."""
-    for k in range(1, len(tokens) + 1):
-        yield induce(tokens[:k])
+    """The grammar after each token, from one inducer."""
+    kernel = OnlineInducer()
+    for t in tokens:
+        kernel.feed(t)
+        yield _renumbered(kernel.bodies())
 
 
 def rule_order(bodies: dict[int, list[int]]) -> list[int]:
