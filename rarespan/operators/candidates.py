@@ -7,8 +7,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from rarespan.runtime import cut
 from rarespan.schemas import CANDIDATE
 
+SEGMENT = 1 << 17
+
 
 def plateaus(curve: DataFrame, k: int | None = None) -> DataFrame:
     """Local minima of a run-length curve (series_id, lo, hi, de): runs lower than both neighbours, by value, then place. Any length."""
@@ -61,3 +64,47 @@ def window_candidates(curve: DataFrame, n: int, k: int = 3, exclusion: int | Non
         return pd.DataFrame(rows, columns=["series_id", "rank", "lo", "hi", "loc", "value"])
 
     return curve.select("series_id", "lo", "hi", "de").groupBy("series_id").applyInPandas(run, CANDIDATE)
+
+
+def long_window_candidates(curve: DataFrame, n: int, k: int = 3, exclusion: int | None = None, edge: str = "keep", segment: int = SEGMENT) -> DataFrame:
+    """CANDIDATE rows in window form for series of any length: same result as ``window_candidates``, no task holds more than ``segment`` + n points.
+
+    Runs are dealt to segments of window starts, those within n - 1 of the next one to both. Each segment keeps its least window; the least of those is the series' next
+    candidate, and only the segments that it touches are searched again for the one after.
+    """
+    exclusion = n if exclusion is None else exclusion
+    size, margin = max(segment, n), n if edge == "drop" else 0
+    runs = curve.select("series_id", "lo", "hi", F.col("de").cast("double").alias("de"))
+    ends = runs.groupBy("series_id").agg((F.min("lo") + margin).alias("first"), (F.max("hi") - (n - 1 + margin)).alias("final")).where("first <= final")
+    dealt = runs.join(ends, "series_id").withColumn("_a", F.greatest(F.col("lo") - (n - 1), "first")).withColumn("_b", F.least("hi", "final")).where("_a <= _b")
+    segments = F.sequence(F.expr(f"(_a - first) div {size}"), F.expr(f"(_b - first) div {size}"))
+    pieces = cut(dealt.select("series_id", "lo", "hi", "de", "first", "final", F.explode(segments).alias("seg")))
+
+    def least(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("lo")
+        own = pdf.iloc[0]
+        start = int(own["first"] + own["seg"] * size)
+        stop = min(start + size - 1, int(own["final"]))
+        lo, hi = (np.clip(pdf[c].to_numpy(), start, stop + n - 1) for c in ("lo", "hi"))
+        total = np.concatenate(([0.0], np.cumsum(np.repeat(pdf["de"].to_numpy(float), hi - lo + 1))))
+        value = np.round(total[n:] - total[:-n], 9)
+        for q in own["taken"]:
+            value[max(0, q - exclusion + 1 - start) : max(0, q + exclusion - start)] = np.inf
+        i = int(value.argmin())
+        rows = [(own["series_id"], int(own["seg"]), int(own["first"]), start + i, float(value[i]))] if np.isfinite(value[i]) else []
+        return pd.DataFrame(rows, columns=["series_id", "seg", "first", "pos", "value"])
+
+    schema = "series_id string, seg long, first long, pos long, value double"
+    best = cut(pieces.withColumn("taken", F.array().cast("array<bigint>")).groupBy("series_id", "seg").applyInPandas(least, schema))
+    found = None
+    for r in range(1, k + 1):
+        top = best.groupBy("series_id").agg(F.min(F.struct("value", "pos", "first")).alias("m"))
+        top = cut(top.select("series_id", F.lit(r).alias("rank"), F.col("m.pos").alias("loc"), F.col("m.value").alias("value"), F.col("m.first").alias("first")))
+        found = top if found is None else found.unionByName(top)
+        if r < k:
+            taken = found.groupBy("series_id").agg(F.collect_list("loc").alias("taken"))
+            near = F.sequence(F.expr(f"greatest(loc - {exclusion - 1} - first, 0) div {size}"), F.expr(f"(loc + {exclusion - 1} - first) div {size}"))
+            touched = top.select("series_id", F.explode(near).alias("seg")).join(taken, "series_id")
+            again = pieces.join(touched, ["series_id", "seg"]).groupBy("series_id", "seg").applyInPandas(least, schema)
+            best = cut(best.join(touched, ["series_id", "seg"], "left_anti").unionByName(again))
+    return found.select("series_id", "rank", F.col("loc").alias("lo"), (F.col("loc") + n - 1).alias("hi"), "loc", "value")

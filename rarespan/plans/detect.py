@@ -73,9 +73,10 @@ def member_runs(df: DataFrame, n: int, params: list[tuple[int, int]] | None = No
 
 
 def detect_single(df: DataFrame, n: int, w: int, a: int, k: int = 3, part: int | None = None) -> DataFrame:
-    """CANDIDATE rows of one resolution's density curve."""
+    """CANDIDATE rows of one resolution's density curve. With ``part``, for series of any length, no task holds a whole series."""
     runs = density(tokens_by_kernel(df, n, [(w, a)]), series_ends(df), part=part)
-    return cand.window_candidates(runs.withColumn("de", F.col("d").cast("double")), n, k)
+    pick = cand.long_window_candidates if part else cand.window_candidates
+    return pick(runs.withColumn("de", F.col("d").cast("double")), n, k)
 
 
 def committee_curve(runs: DataFrame, tau: float = 0.4, how: str = "median", norm: str = "max") -> DataFrame:
@@ -128,7 +129,7 @@ def detect_committee(
     few = _short_committee(low, n, params, tau, k)
     if high.isEmpty():
         return few
-    return few.unionByName(cand.window_candidates(committee_curve(member_runs(high, n, params, core, part), tau), n, k))
+    return few.unionByName(cand.long_window_candidates(committee_curve(member_runs(high, n, params, core, part), tau), n, k))
 
 
 def random_choice(df: DataFrame, w_max: int = 10, a_max: int = 10, seed: int = 42) -> DataFrame:

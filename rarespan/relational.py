@@ -8,10 +8,12 @@ from pyspark.sql import functions as F
 from rarespan import oracles as o
 from rarespan.functions import sql as fs
 from rarespan.operators import windows as win
+from rarespan.operators.candidates import long_window_candidates
+from rarespan.operators.inducer import induce_trace
 from rarespan.operators.joins import as_of, interval_points
 from rarespan.queries import N, SERIES, _collapsed, _literal, add
 from rarespan.runtime import table
-from rarespan.streaming import resample
+from rarespan.streaming import joins, resample
 
 _HOUR = o.SERIES["events_hour"]
 _TYPES = o.SERIES["events_type_hour"]
@@ -186,3 +188,49 @@ add("t01_tumbling", lambda s, d: resample.tumbling(_events(s, d)), f"select even
 add("t02_sliding", lambda s, d: resample.sliding(_events(s, d)), f"with e as (select {o._epoch('ts', 3600)} as h, value from events), z as (select (h - k) * 3600 as start, value from e, (select unnest(generate_series(0, 23)) as k)) select start, count(*) as n, {_C} as total from z group by 1")
 add("t03_bursts", lambda s, d: resample.bursts(_events(s, d)), f"with e as (select user_id, epoch_us(ts) as t, value from events), a as (select *, case when t - lag(t) over (partition by user_id order by t) < 1800000000 then 0 else 1 end as fresh from e), b as (select *, sum(fresh) over (partition by user_id order by t) as g from a) select user_id, cast(min(t) // 1000000 as bigint) as start, cast((max(t) + 1800000000) // 1000000 as bigint) as stop, count(*) as n, {_C} as total from b group by user_id, g")
 add("t10_dedup", lambda s, d: resample.deduplicated(_events(s, d).unionAll(_events(s, d))).select("event_id"), "select distinct event_id from events")
+
+
+def _in_spans(s, d):
+    """Events of the second and third day of their type, by a join with one static span a type."""
+    e = _events(s, d).select("event_id", F.col("event_type").alias("series_id"), F.floor(F.unix_timestamp("ts") / 3600).alias("step"))
+    spans = e.groupBy("series_id").agg((F.min("step") + 24).alias("lo"), (F.min("step") + 71).alias("hi"))
+    return joins.in_spans(e, spans, width=32).select("event_id", "series_id", "lo")
+
+
+def _kinds(s, d):
+    """What each user does most: a map of counts, filtered and printed."""
+    n = table(s, d, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+    m = n.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    kept = F.array_sort(F.transform(F.map_entries(F.map_filter("m", lambda _, v: v > 12)), lambda e: F.concat_ws("=", e["key"], e["value"].cast("string"))))
+    return m.select("user_id", F.array_join(kept, ",").alias("kinds"), F.size(F.map_keys("m")).alias("of"))
+
+
+_STEP = o._epoch("ts", 3600)
+add("j13_stream_static", _in_spans, f"with e as (select event_id, event_type as series_id, {_STEP} as step from events), p as (select series_id, min(step) + 24 as lo from e group by 1) select event_id, series_id, lo from e join p using (series_id) where step between lo and lo + 47")
+add("j13_stream_stream", lambda s, d: joins.followed(_events(s, d).where("event_type = 'error'"), _events(s, d).where("event_type = 'purchase'")),
+    "select a.user_id, a.event_id as first_id, b.event_id as second_id, epoch_us(b.ts) - epoch_us(a.ts) as gap_us from events a join events b on a.user_id = b.user_id and a.event_type = 'error' and b.event_type = 'purchase' and epoch_us(b.ts) - epoch_us(a.ts) between 0 and 3600000000")
+add("g11_mode", lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.mode("l_linenumber", True).alias("most")),
+    "select l_returnflag, l_linenumber as most from (select l_returnflag, l_linenumber, count(*) as c from lineitem group by 1, 2) qualify row_number() over (partition by l_returnflag order by c desc, l_linenumber) = 1")
+add("g11_histogram", lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.histogram_numeric("l_linenumber", F.lit(20)).alias("h")).select("l_returnflag", F.inline("h")).select("l_returnflag", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y")),
+    "select l_returnflag, cast(l_linenumber as bigint) as x, count(*) as y from lineitem group by 1, 2")
+add("f10_json", lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.sum(F.from_json("props", "k long")["k"]).alias("total"), F.max(F.get_json_object("props", "$.k").cast("long")).alias("top")),
+    "select event_type, cast(sum(cast(props ->> '$.k' as bigint)) as bigint) as total, max(cast(props ->> '$.k' as bigint)) as top from events group by 1")
+add("f11_maps", _kinds, "with n as (select user_id, event_type, count(*) as n from events group by 1, 2) select user_id, coalesce(string_agg(event_type || '=' || n, ',' order by event_type || '=' || n) filter (where n > 12), '') as kinds, cast(count(*) as int) as of from n group by 1")
+add("m14d_step_trace", lambda s, d: _trace(s),
+    "select cast(k as int) as step, cast(r as int) as rule, b as body from (values (1, 0, 'ab'), (2, 0, 'ab bc'), (3, 0, 'ab bc aa'), (4, 0, 'ab bc aa cc'), (5, 0, 'ab bc aa cc ca'), (6, 0, 'ab bc aa cc ca ab'), (7, 0, 'R1 aa cc ca R1'), (7, 1, 'ab bc'), (8, 0, 'R1 cc ca R1'), (8, 1, 'ab bc aa')) v(k, r, b)")
+add("m22c_edges_dropped", lambda s, d: _edges_dropped(s), "select cast(r as int) as rank, cast(l as bigint) as loc, cast(v as double) as value from (values (1, 21, 4), (2, 5, 12)) v(r, l, v)")
+
+
+def _trace(s):
+    """The example's grammar after each of its tokens."""
+    names = list(dict.fromkeys(w for w, _ in _EX))
+    spell = lambda v: f"R{v >> 1}" if v & 1 else names[v >> 1]
+    steps = enumerate(induce_trace([names.index(w) for w, _ in _EX]), 1)
+    return s.createDataFrame([(k, r, " ".join(map(spell, body))) for k, bodies in steps for r, body in bodies.items()], "step int, rule int, body string")
+
+
+def _edges_dropped(s):
+    """A curve that is lowest at both ends: these windows don't count."""
+    runs = [("s", 1, 4, 0.0), ("s", 5, 20, 3.0), ("s", 21, 24, 1.0), ("s", 25, 40, 3.0), ("s", 41, 44, 0.0)]
+    curve = s.createDataFrame(runs, "series_id string, lo long, hi long, de double")
+    return long_window_candidates(curve, 4, 2, edge="drop", segment=7).select("rank", "loc", "value")

@@ -105,3 +105,40 @@ def test_words_do_not_depend_on_the_level_of_the_values():
         list(kernel.chunk_tokens(x * 10**7, 24, 400, [(3, 4)], 4))
     far = kernel.profile_tile(x[:60] + 10**9, 12, 12, 50)
     assert np.allclose(far, kernel.profile_tile(x[:60], 12, 12, 50))
+
+
+def test_long_candidates_equal_those_of_one_task(spark):
+    import numpy as np
+
+    from rarespan.operators import candidates as cand
+
+    rnd = np.random.default_rng(3)
+    rows = []
+    for name, pieces in (("a", 400), ("b", 9), ("c", 1), ("ties", 200)):
+        at = 1
+        for size in rnd.integers(1, 40, pieces).tolist():
+            rows.append((name, at, at + size - 1, float(rnd.integers(0, 2 if name == "ties" else 100))))
+            at += size
+    rows.append(("flat", 1, 5000, 1.0))
+    curve = spark.createDataFrame(rows, "series_id string, lo long, hi long, de double")
+    for n, k, exclusion, edge, segment in ((24, 3, None, "keep", 100), (30, 5, 70, "drop", 64), (7, 4, 3, "keep", 1 << 17)):
+        one = sorted(map(tuple, cand.window_candidates(curve, n, k, exclusion, edge).collect()))
+        two = sorted(map(tuple, cand.long_window_candidates(curve, n, k, exclusion, edge, segment).collect()))
+        assert one and one == two
+
+
+def test_new_relational_queries_equal_their_sql(spark, sf):
+    import duckdb
+
+    import __spark_entry__ as entry
+
+    db = duckdb.connect()
+    for name in ("events", "lineitem"):
+        db.execute(f"create view {name} as select * from '{sf}/{name}.parquet'")
+    queries, sql = entry.queries(), entry.oracle_sql()
+    for name in ("j13_stream_static", "j13_stream_stream", "g11_mode", "g11_histogram", "f10_json", "f11_maps", "m14d_step_trace", "m22c_edges_dropped"):
+        got, want = queries[name](spark, sf), db.execute(sql[name])
+        columns = [c[0] for c in want.description]
+        rows = sorted(want.fetchall(), key=str)
+        assert sorted(columns) == sorted(got.columns), name
+        assert rows and sorted(map(tuple, got.select(*columns).collect()), key=str) == rows, name
