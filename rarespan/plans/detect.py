@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -89,20 +90,33 @@ SHORT = 16_384
 
 
 def _short_committee(df: DataFrame, n: int, params: list[tuple[int, int]], tau: float, k: int) -> DataFrame:
-    """Candidates of short series, many of them in each task; a task holds one bucket of series and works through it one by one."""
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["series_id", "pos"])
-        names, x = pdf["series_id"].to_numpy(object), pdf["x"].to_numpy(np.int64)
-        edge = np.flatnonzero(np.concatenate(([True], names[1:] != names[:-1]))).tolist() + [len(x)]
-        rows = []
-        for lo, hi in zip(edge, edge[1:], strict=False):
-            for r, (i, v) in enumerate(kernel.committee_one(x[lo:hi], n, params, tau, k)):
-                rows.append((names[lo], r + 1, i + 1, i + n, i + 1, v))
-        return pd.DataFrame(rows, columns=[c.split()[0] for c in CANDIDATE.split(", ")])
-
-    buckets = 4 * shuffle_partitions(df.sparkSession)
-    return df.withColumn("bucket", F.pmod(F.xxhash64("series_id"), F.lit(buckets))).groupBy("bucket").applyInPandas(run, CANDIDATE)
+    """Candidates of short series, many of them in each task; rows come sorted, and a task holds one series at a time."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        name, held = None, []
+
+        def whole() -> list[tuple]:
+            if not held:
+                return []
+            got = kernel.committee_one(np.concatenate(held), n, params, tau, k)
+            return [(name, r + 1, i + 1, i + n, i + 1, v) for r, (i, v) in enumerate(got)]
+
+        for pdf in frames:
+            names, x = pdf["series_id"].to_numpy(object), pdf["x"].to_numpy(np.int64)
+            edge = np.flatnonzero(np.concatenate(([True], names[1:] != names[:-1]))).tolist() if len(x) else []
+            rows = []
+            for lo, hi in zip(edge, [*edge[1:], len(x)], strict=True):
+                if held and names[lo] != name:
+                    rows += whole()
+                    held = []
+                name = names[lo]
+                held.append(x[lo:hi])
+            yield pd.DataFrame(rows, columns=columns)
+        yield pd.DataFrame(whole(), columns=columns)
+
+    columns = [c.split()[0] for c in CANDIDATE.split(", ")]
+    dealt = df.select("series_id", "pos", "x").repartition(4 * shuffle_partitions(df.sparkSession), "series_id")
+    return dealt.sortWithinPartitions("series_id", "pos").select("series_id", "x").mapInPandas(run, CANDIDATE)
 
 
 def detect_committee(
@@ -120,7 +134,7 @@ def detect_committee(
 ) -> DataFrame:
     """CANDIDATE rows of the committee's curve.
 
-    Series of up to ``short`` points go through all stages in one kernel call, bucketed so that a task serves many of them; longer ones are
+    Series of up to ``short`` points go through all stages in one kernel call, one after the other in a task; longer ones are
     cut into chunks, and their members are induced by separate tasks. Both give the same candidates.
     """
     params = com.draw_params(n_members, w_max, a_max, seed, w_cap=n)
