@@ -66,8 +66,16 @@ def from_orders(spark: SparkSession, d: str, form: str = "day", limit: int | Non
     steps = number_rows(o.select(F.lit("walk").alias("series_id"), "o_orderkey", F.expr(f"(cast(round(o_totalprice * 100) as bigint) - {mean}) div 1000000").alias("s")), ["o_orderkey"])
     if limit:
         steps = steps.where(F.col("pos") <= limit)
-    over = Window.partitionBy("series_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    return steps.select("series_id", "pos", F.sum("s").over(over).alias("x"))
+    return running_sums(steps, "s")
+
+
+def running_sums(steps: DataFrame, value: str, chunk: int = 1 << 16) -> DataFrame:
+    """(series_id, pos, x): running sums in two levels, inside chunks of positions and over the chunks' sums, so a window holds ``chunk`` rows or one row a chunk."""
+    steps = steps.withColumn("_c", F.expr(f"(pos - 1) div {chunk}"))
+    before = Window.partitionBy("series_id").orderBy("_c").rowsBetween(Window.unboundedPreceding, -1)
+    base = steps.groupBy("series_id", "_c").agg(F.sum(value).alias("_t")).select("series_id", "_c", F.coalesce(F.sum("_t").over(before), F.lit(0)).alias("_base"))
+    inside = Window.partitionBy("series_id", "_c").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
+    return steps.join(base, ["series_id", "_c"]).select("series_id", "pos", (F.col("_base") + F.sum(value).over(inside)).alias("x"))
 
 
 def from_lineitem(spark: SparkSession, d: str, grain: str | None = None, by: str | None = None, limit: int | None = None) -> DataFrame:

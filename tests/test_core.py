@@ -224,3 +224,14 @@ def test_short_and_long_paths_agree(spark, small):
     one = sorted(map(tuple, detect.detect_committee(df, 12, 12).collect()))
     two = sorted(map(tuple, detect.detect_committee(df, 12, 12, short=0, core=50).collect()))
     assert one == two and {r[0] for r in one} == {"a", "b", "flat"}
+
+
+def test_running_sums_do_not_depend_on_chunks(spark):
+    rows = [(name, p, p * p % 7 - 3) for name, last in (("a", 50), ("b", 1), ("c", 16)) for p in range(1, last + 1)]
+    steps = spark.createDataFrame(rows, "series_id string, pos long, s long")
+    want, total = [], {}
+    for name, p, x in rows:
+        total[name] = total.get(name, 0) + x
+        want.append((name, p, total[name]))
+    for chunk in (1, 8, 1 << 16):
+        assert sorted(map(tuple, series.running_sums(steps, "s", chunk).collect())) == sorted(want)
