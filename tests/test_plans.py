@@ -107,6 +107,17 @@ def test_words_do_not_depend_on_the_level_of_the_values():
     assert np.allclose(far, kernel.profile_tile(x[:60], 12, 12, 50))
 
 
+def test_window_sums_stay_exact_where_they_pass_64_bits():
+    rng = np.random.default_rng(2)
+    x = rng.integers(0, 10**9, 200) * 2
+    n = 12
+    _, _, t1, v = kernel.window_sums(x, n)
+    want = [n * sum(int(b) ** 2 for b in x[i : i + n]) - sum(map(int, x[i : i + n])) ** 2 for i in range(len(x) - n + 1)]
+    assert max(want) >= 1 << 63 and [int(b) for b in v] == want
+    plain = [(w, a, at.tolist(), words.tolist()) for w, a, at, words in kernel.chunk_tokens(x // 2, n, 200, [(3, 4), (5, 7)], 7)]
+    assert plain == [(w, a, at.tolist(), words.tolist()) for w, a, at, words in kernel.chunk_tokens(x, n, 200, [(3, 4), (5, 7)], 7)]
+
+
 def test_long_candidates_equal_those_of_one_task(spark):
     import numpy as np
 
