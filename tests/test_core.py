@@ -235,3 +235,15 @@ def test_running_sums_do_not_depend_on_chunks(spark):
         want.append((name, p, total[name]))
     for chunk in (1, 8, 1 << 16):
         assert sorted(map(tuple, series.running_sums(steps, "s", chunk).collect())) == sorted(want)
+
+
+def test_large_values_give_the_coefficients_of_small_ones(spark):
+    rng = np.random.default_rng(3)
+    rows = [("s", i + 1, int(v)) for i, v in enumerate(rng.integers(0, 10**9, 60))]
+    small = spark.createDataFrame(rows, "series_id string, pos long, x long")
+    large = small.withColumn("x", F.col("x") * 4)  # 12 x 12 x variance passes 64 bits
+    one = lambda df, make: [r.coef for r in make(df, 12, 5).orderBy("pos").collect()]
+    for make in (win.paa_naive, win.paa_fast):
+        assert one(large, make) == one(small, make)
+    nearest = lambda df: [r.distance for r in discord.bruteforce_profile(df, 12).orderBy("pos").collect()]
+    assert np.allclose(nearest(large), nearest(small))
