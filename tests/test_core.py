@@ -247,3 +247,12 @@ def test_large_values_give_the_coefficients_of_small_ones(spark):
         assert one(large, make) == one(small, make)
     nearest = lambda df: [r.distance for r in discord.bruteforce_profile(df, 12).orderBy("pos").collect()]
     assert np.allclose(nearest(large), nearest(small))
+
+
+def test_histogram_counts_each_number_once_whatever_the_partitions(spark, sf, tmp_path):
+    from rarespan import relational  # noqa: F401
+    from rarespan.queries import QUERIES
+
+    spark.read.parquet(f"{sf}/lineitem.parquet").repartition(7).write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = [tuple(r) for r in QUERIES["g11_histogram"](spark, str(tmp_path)).collect()]
+    assert len({r[:2] for r in got}) == len(got) == 21 and sum(r[2] for r in got) == 60_000
