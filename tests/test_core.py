@@ -256,3 +256,12 @@ def test_histogram_counts_each_number_once_whatever_the_partitions(spark, sf, tm
     spark.read.parquet(f"{sf}/lineitem.parquet").repartition(7).write.parquet(str(tmp_path / "lineitem.parquet"))
     got = [tuple(r) for r in QUERIES["g11_histogram"](spark, str(tmp_path)).collect()]
     assert len({r[:2] for r in got}) == len(got) == 21 and sum(r[2] for r in got) == 60_000
+
+
+@pytest.mark.parametrize("name", "b8_best_single c01_score c02_best_of c03_average c04_hit_rate c04_hit_rate_candidates c05_win_tie_loss c05b_paired c05c_misses c06_word_cost c14_growth f03_induce_table".split())
+def test_measures_read_a_given_table(spark, sf, name):
+    from rarespan import relational  # noqa: F401
+    from rarespan.queries import QUERIES
+
+    found = QUERIES[name](spark, sf)
+    assert found.inputFiles() and not found.isEmpty()
