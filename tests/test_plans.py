@@ -153,3 +153,16 @@ def test_new_relational_queries_equal_their_sql(spark, sf):
         rows = sorted(want.fetchall(), key=str)
         assert sorted(columns) == sorted(got.columns), name
         assert rows and sorted(map(tuple, got.select(*columns).collect()), key=str) == rows, name
+
+
+def test_landscape_and_extreme_curves_take_one_task_call_a_series(spark, sf):
+    s = series.from_part_cycle(spark, sf).where("series_id in ('cycle-1', 'cycle-2')")
+    for made in (wl.landscape(s, 681, 40, 4, 4), wl.extreme_curves(s, 40, 6)):
+        assert "FlatMapGroups" not in made._jdf.queryExecution().toString()  # no rows of tokens, no group for each member
+    scores = {(r.series_id, r.w): r for r in wl.landscape(s, 681, 40, 4, 4).collect()}
+    for r in detect.detect_single(s, 40, 3, 4).groupBy("series_id").agg(F.max(1.0 - F.least(F.lit(1.0), F.abs(F.col("loc") - 681) / 40)).alias("score")).collect():
+        assert scores[r.series_id, 3]["4"] == r.score
+    params = com.draw_params(6, w_cap=40)
+    stats = com.keep_by_spread(com.deviation(com.curve_stats(detect.member_runs(s, 40, params))), 1.0).where("rank <= 2 or rank > 4")
+    row = lambda r: (r.series_id, r.w, r.a, r.rank, round(r.sd, 6), round(r.level, 6))
+    assert {row(r) for r in stats.collect()} == {row(r) for r in wl.extreme_curves(s, 40, 6).collect()}
