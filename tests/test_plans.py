@@ -166,3 +166,15 @@ def test_landscape_and_extreme_curves_take_one_task_call_a_series(spark, sf):
     stats = com.keep_by_spread(com.deviation(com.curve_stats(detect.member_runs(s, 40, params))), 1.0).where("rank <= 2 or rank > 4")
     row = lambda r: (r.series_id, r.w, r.a, r.rank, round(r.sd, 6), round(r.level, 6))
     assert {row(r) for r in stats.collect()} == {row(r) for r in wl.extreme_curves(s, 40, 6).collect()}
+
+
+def test_methods_in_one_call_equal_the_detectors(spark, sf):
+    made, truth = wl.data(spark, sf, labels=(0, 3), copies=2, lengths=(82, 150))
+    row = lambda r: (r.dataset, r.series_id, r.method, r.rank, r.loc, round(r.score, 9))
+    want = set()
+    for c, n in ((0, 82), (3, 150)):
+        want |= {row(r) for r in wl.all_methods(made.where(F.col("dataset") == c), truth.where(F.col("dataset") == c), n).collect()}
+    before = spark.sparkContext._jsc.sc().dagScheduler().nextJobId()
+    got = {row(r) for r in wl.compared(spark, sf, labels=(0, 3), copies=2, lengths=(82, 150)).collect()}
+    assert got == want and len(got) == 60
+    assert spark.sparkContext._jsc.sc().dagScheduler().nextJobId() - before < 20  # not dozens for each dataset and method
