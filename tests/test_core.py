@@ -265,3 +265,25 @@ def test_measures_read_a_given_table(spark, sf, name):
 
     found = QUERIES[name](spark, sf)
     assert found.inputFiles() and not found.isEmpty()
+
+
+def test_inducer_makes_few_calls_a_token_and_keeps_its_properties():
+    import random
+    import sys
+
+    rng, calls = random.Random(4), [0]
+    cycle = [rng.randrange(6) for _ in range(40)]
+    tokens = cycle * 10 + [rng.randrange(6) for _ in range(40)] + cycle * 10
+    sys.setprofile(lambda frame, event, _: calls.__setitem__(0, calls[0] + (event == "call")))
+    try:
+        found = induce(tokens)
+    finally:
+        sys.setprofile(None)
+    assert calls[0] < 16 * len(tokens)
+    assert expand(found) == tokens
+    used = [v >> 1 for body in found.values() for v in body if v & 1]
+    assert all(used.count(r) >= 2 for r in found if r)
+    pairs = {}
+    for r, body in found.items():
+        for i, pair in enumerate(zip(body, body[1:], strict=False)):
+            assert pairs.setdefault(pair, (r, i)) in ((r, i), (r, i - 1))
