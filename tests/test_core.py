@@ -287,3 +287,17 @@ def test_inducer_makes_few_calls_a_token_and_keeps_its_properties():
     for r, body in found.items():
         for i, pair in enumerate(zip(body, body[1:], strict=False)):
             assert pairs.setdefault(pair, (r, i)) in ((r, i), (r, i - 1))
+
+
+def test_round_trip_shuffles_whole_texts_once_and_long_texts_pass_several_batches(spark, tmp_path):
+    from rarespan.queries import QUERIES
+
+    rng = random.Random(6)
+    texts = {i: " ".join(rng.choice("a b c R1 R2 été".split()) for _ in range(n)) for i, n in enumerate((1, 25_000, 3, 0, 12_000, 7, 40))}
+    spark.createDataFrame([*texts.items(), (99, None)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    found = QUERIES["m15_roundtrip_doc_words"](spark, str(tmp_path))
+    assert found._jdf.queryExecution().executedPlan().toString().count("Exchange") == 1
+    got = {}
+    for r in found.orderBy("series_id", "pos").collect():
+        got.setdefault(int(r.series_id), []).append((r.pos, r.word))
+    assert got == {i: list(enumerate(t.split(" "), 1)) for i, t in texts.items()}
