@@ -268,7 +268,6 @@ def test_measures_read_a_given_table(spark, sf, name):
 
 
 def test_inducer_makes_few_calls_a_token_and_keeps_its_properties():
-    import random
     import sys
 
     rng, calls = random.Random(4), [0]
@@ -301,3 +300,18 @@ def test_round_trip_shuffles_whole_texts_once_and_long_texts_pass_several_batche
     for r in found.orderBy("series_id", "pos").collect():
         got.setdefault(int(r.series_id), []).append((r.pos, r.word))
     assert got == {i: list(enumerate(t.split(" "), 1)) for i, t in texts.items()}
+
+
+def test_inducer_checks_pairs_without_a_call():
+    import sys
+
+    rng, calls = random.Random(8), [0]
+    cycle = [rng.randrange(6) for _ in range(40)]
+    tokens = cycle * 12
+    sys.setprofile(lambda frame, event, _: calls.__setitem__(0, calls[0] + (event == "call")))
+    try:
+        found = induce(tokens)
+    finally:
+        sys.setprofile(None)
+    assert expand(found) == tokens
+    assert calls[0] < 4 * len(tokens)
