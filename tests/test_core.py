@@ -315,3 +315,10 @@ def test_inducer_checks_pairs_without_a_call():
         sys.setprofile(None)
     assert expand(found) == tokens
     assert calls[0] < 4 * len(tokens)
+
+
+def test_rounds_committee_picks_its_windows_without_a_plan_for_each_before(spark, sf):
+    from rarespan.queries import QUERIES
+
+    found = QUERIES["m28_committee_rounds"](spark, sf)
+    assert found._jdf.queryExecution().optimizedPlan().toString().count("Join") < 4
