@@ -317,6 +317,29 @@ def test_inducer_checks_pairs_without_a_call():
     assert calls[0] < 4 * len(tokens)
 
 
+@pytest.mark.parametrize("part", [None, 70, 300])
+def test_packed_curves_are_those_of_rows(spark, part):
+    rng = np.random.default_rng(5)
+    rows = [(name, i + 1, int(v)) for name, size in (("a", 700), ("b", 331)) for i, v in enumerate(np.tile(rng.integers(0, 40, 90), 8)[:size] + rng.integers(0, 2, size))]
+    df = spark.createDataFrame(rows, "series_id string, pos long, x long")
+    params = com.draw_params(6, w_cap=12)
+    want = detect.member_runs(df, 12, params, 50, part)
+    runs = den.packed_density(detect.packed_tokens(df, 12, params, 50, part), detect.series_ends(df), part, 64)
+    assert sorted(map(tuple, com.packed_stats(runs).collect())) == sorted(map(tuple, com.curve_stats(want).collect()))
+    points = lambda curve: {(r.series_id, p): r.de for r in curve.collect() for p in range(r.lo, r.hi + 1)}
+    one = points(com.combine(com.scaled(want, com.keep_by_spread(com.curve_stats(want), 0.5)), segment=64))
+    assert points(com.unpacked(com.combine_packed(runs, com.keep_by_spread(com.packed_stats(runs), 0.5)))) == one
+    assert points(detect.long_committee_curve(df, 12, params, 0.5, 50, part)) == one and (part or len(one) == 1031)
+
+
+def test_long_series_pass_between_steps_as_one_row_for_each_member_and_chunk(spark):
+    rng = np.random.default_rng(6)
+    df = spark.createDataFrame([("s", i + 1, int(v)) for i, v in enumerate(rng.integers(0, 99, 2000))], "series_id string, pos long, x long")
+    params = com.draw_params(4, w_cap=12)
+    packed = detect.packed_tokens(df, 12, params, 500)
+    assert packed.count() == 4 * 4 and detect.tokens_by_kernel(df, 12, params, 500).count() > 2000
+
+
 def test_rounds_committee_picks_its_windows_without_a_plan_for_each_before(spark, sf):
     from rarespan.queries import QUERIES
 
