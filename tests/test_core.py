@@ -345,3 +345,10 @@ def test_rounds_committee_picks_its_windows_without_a_plan_for_each_before(spark
 
     found = QUERIES["m28_committee_rounds"](spark, sf)
     assert found._jdf.queryExecution().optimizedPlan().toString().count("Join") < 4
+
+
+@pytest.mark.parametrize("name", "c01_score c02_best_of c03_average c04_hit_rate c04_hit_rate_candidates c05_win_tie_loss c05b_paired c05c_misses c06_word_cost".split())
+def test_measures_scan_orders(spark, sf, name):
+    from rarespan.queries import QUERIES
+
+    assert {f.rsplit("/", 1)[-1] for f in QUERIES[name](spark, sf).inputFiles()} == {"orders.parquet"}
