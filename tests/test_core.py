@@ -347,6 +347,17 @@ def test_rounds_committee_picks_its_windows_without_a_plan_for_each_before(spark
     assert found._jdf.queryExecution().optimizedPlan().toString().count("Join") < 4
 
 
+def test_rounds_tables_are_not_broadcast_by_estimates_of_the_compressed_input(spark, sf):
+    """Tokens and spans, many rows for each of the input's, look small to a planner that knows the input's file alone."""
+    from rarespan.operators import rounds as rnd
+
+    df = series.from_part_cycle(spark, sf)
+    t = win.collapse_runs(detect.tokens_by_kernel(df, 40, [(2, 3), (3, 3)]), last=detect.series_ends(df))
+    runs = rnd.density_by_rounds(t, 4)
+    plan = runs._jdf.queryExecution().sparkPlan().toString()
+    assert plan.count("Join") >= 4 and "Broadcast" not in plan
+
+
 @pytest.mark.parametrize("name", "c01_score c02_best_of c03_average c04_hit_rate c04_hit_rate_candidates c05_win_tie_loss c05b_paired c05c_misses c06_word_cost".split())
 def test_measures_scan_orders(spark, sf, name):
     from rarespan.queries import QUERIES
