@@ -358,6 +358,26 @@ def test_rounds_tables_are_not_broadcast_by_estimates_of_the_compressed_input(sp
     assert plan.count("Join") >= 4 and "Broadcast" not in plan
 
 
+def test_what_holds_is_counted_without_broadcasting_curves(spark, monkeypatch):
+    """Curves and grammars, many rows for each of the input's, look small to a planner that knows the input's file alone."""
+    from rarespan.queries import QUERIES
+
+    plans = []
+
+    def seen(of):
+        def run(*args):
+            got = of(*args)
+            plans.append(got._jdf.queryExecution().sparkPlan().toString())
+            return got
+
+        return run
+
+    monkeypatch.setattr(com, "scaled", seen(com.scaled))
+    monkeypatch.setattr(den, "utility_violations", seen(den.utility_violations))
+    assert {r.off for r in QUERIES["m28_holds_part_cycle"](spark, "/root/testdata/sf0.001").collect()} == {0}
+    assert len(plans) == 2 and all("Join" in p and "Broadcast" not in p for p in plans)
+
+
 @pytest.mark.parametrize("name", "c01_score c02_best_of c03_average c04_hit_rate c04_hit_rate_candidates c05_win_tie_loss c05b_paired c05c_misses c06_word_cost".split())
 def test_measures_scan_orders(spark, sf, name):
     from rarespan.queries import QUERIES
