@@ -135,3 +135,30 @@ def test_repeated_ids_and_rows(spark):
     assert sorted((str(r.doc_id), r.component_id) for r in got) == [("1", 1), ("1", 1), ("1", 1), ("2", 1), ("3", 3), ("4", 3), ("None", 1)]
     kept = {(r.doc_id, r.text_hash) for r in got if r.stays}
     assert len(kept) == 3 and {i for i, _ in kept} == {1, 3}
+
+
+def test_rows_without_an_id_are_compared_like_others(spark):
+    """Copies cut short, too far apart for the fingerprint, without an id on both sides or on one; and the same text twice without one."""
+    import corpus_pipeline
+
+    rnd = random.Random(9)
+    vocab = [f"w{i}" for i in range(3000)]
+    rows, want, far = [], [], 0
+    for g in range(12):
+        base = [rnd.choice(vocab) for _ in range(200)]
+        long, short = " ".join(base), " ".join(base[:166])
+        far += bin(fingerprint(long) ^ fingerprint(short)).count("1") > 3
+        rows += [(g if g % 3 == 1 else None, long, "x"), (g if g % 3 == 2 else None, short, "x")]
+        want.append((g if g % 3 else None, long, short))
+    same = " ".join(rnd.choice(vocab) for _ in range(50))
+    rows += [(None, same, "x"), (None, same, "x"), (None, None, "x"), (None, " ", "x"), (100, "alone here", "x")]
+    docs = spark.createDataFrame(rows, SCHEMA)
+    assert far > 6
+    found = near_copies(docs).collect()
+    assert len(found) == len(rows) and {r.component_id for r in found} == {None, 100} | {i for i, _, _ in want}
+    kept = [(r.doc_id, r.text) for r in corpus_pipeline.drop_near_duplicates(spark, docs, "").collect()]
+    assert len(kept) == 12 + 3
+    for i, long, short in want:
+        of = [(k, t) for k, t in kept if t in (long, short)]
+        assert len(of) == 1 and of[0][0] == i
+    assert sum(t == same for _, t in kept) == 1 and sum(not (t or "").strip() for _, t in kept) == 1
